@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
-from . import decontamination
+from . import decontamination, fingerprints, secrets
 
 
 def queries() -> dict:
-    return {"op8_decontamination": decontamination.op8_decontamination}
+    return {
+        "op3_fingerprints": fingerprints.op3_fingerprints,
+        "op7_secrets": secrets.op7_secrets,
+        "op8_decontamination": decontamination.op8_decontamination,
+    }
 
 
 def oracle_sql() -> dict:
-    return {"op8_decontamination": decontamination.OP8_SQL}
+    return {"op7_secrets": secrets.OP7_SQL, "op8_decontamination": decontamination.OP8_SQL}
