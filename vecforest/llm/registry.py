@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import decontamination, fingerprints, secrets
+from . import decontamination, fingerprints, packing, secrets
 
 
 def queries() -> dict:
     return {
+        "op2_packing": packing.op2_packing,
         "op3_fingerprints": fingerprints.op3_fingerprints,
         "op7_secrets": secrets.op7_secrets,
         "op8_decontamination": decontamination.op8_decontamination,
