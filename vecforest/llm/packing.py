@@ -143,7 +143,7 @@ def pack(docs: DataFrame, path: str | None = None, length: int = LENGTH, open_bi
     """
     cuts = pieces(docs, path or byte_bpe_path(), length, with_ids)
     many = max(1, _rows(docs) // DOCS_A_STREAM + 1)
-    schema = cuts.schema.add("sequence_id", "long").add("offset", "long").add("part", "int").simpleString()[7:-1]
+    schema = PIECES + (", ids array<int>" if with_ids else "") + ", part int, sequence_id long, offset long"
     dealt = cuts.withColumn("mix", F.xxhash64("key", "piece", "ids_crc32"))
     dealt = dealt.withColumn("part", F.pmod("mix", F.lit(many)).cast("int"))
     dealt = dealt.repartition("part").sortWithinPartitions("part", F.desc("length"), "mix", "key", "piece", "start")
@@ -160,8 +160,7 @@ def pack(docs: DataFrame, path: str | None = None, length: int = LENGTH, open_bi
                 offset.append(o)
             yield batch.drop(columns=["mix"]).assign(sequence_id=at, offset=offset)
 
-    placed = dealt.mapInPandas(place_all, schema.replace(":", " "))
-    return placed.drop("key", "part")
+    return dealt.mapInPandas(place_all, schema).drop("key", "part")
 
 
 def _rows(docs: DataFrame) -> int:
