@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import decontamination, fingerprints, packing, secrets
+from . import decontamination, fingerprints, lm_scores, packing, secrets
 
 
 def queries() -> dict:
     return {
         "op2_packing": packing.op2_packing,
         "op3_fingerprints": fingerprints.op3_fingerprints,
+        "op6_lm_scores": lm_scores.op6_lm_scores,
         "op7_secrets": secrets.op7_secrets,
         "op8_decontamination": decontamination.op8_decontamination,
     }
