@@ -48,21 +48,21 @@ def decontaminate(docs: DataFrame, items: DataFrame, k: int = 5, span: int = 13,
     bench = _hashed(items.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("item"), "text"), "text").where(F.size("h") > 0).select("item", "h").dropDuplicates()
     n = F.size("h")
     short = sorted(r[0] for r in bench.where(n < span).select(n).distinct().collect())  # at most span - 1 numbers
-    long_fps = _winnowed(bench.where(n >= span), k, span, []).select(F.explode("fps").alias("fp"))
-    windows = with_grams(bench.where(n >= span), "h", span, "g").select("item", F.explode(F.array_distinct("g")).alias("g"), F.lit(span).alias("m"))
+    long_fps = _winnowed(bench.where(n >= span), k, span, []).select(F.explode_outer("fps").alias("fp"))
+    windows = with_grams(bench.where(n >= span), "h", span, "g").select("item", F.explode_outer(F.array_distinct("g")).alias("g"), F.lit(span).alias("m"))
     for m in short:
-        of_m = with_grams(bench.where(n == m), "h", m, "g").select("item", F.explode("g").alias("g"), F.lit(m).alias("m"))
+        of_m = with_grams(bench.where(n == m), "h", m, "g").select("item", F.explode_outer("g").alias("g"), F.lit(m).alias("m"))
         windows = windows.unionByName(of_m)
         long_fps = long_fps.unionByName(of_m.select(F.col("g").alias("fp")))
     windows, fps = staged(windows.distinct(), "windows"), staged(long_fps.distinct(), "prints")
 
-    seeds = _winnowed(_hashed(keyed, "text"), k, span, short).select("rid", "rt", F.explode("fps").alias("fp"))
+    seeds = _winnowed(_hashed(keyed, "text"), k, span, short).select("rid", "rt", F.explode_outer("fps").alias("fp"))
     near = staged(seeds.join(fps, "fp", "left_semi").select("rid", "rt").distinct(), "hits")
 
     hit = _hashed(keyed.join(near, ["rid", "rt"], "left_semi"), "text").select("rid", "rt", "h")
     grams = None
     for m in [*short, span]:
-        of_m = with_grams(hit, "h", m, "g").select("rid", "rt", F.posexplode("g").alias("pos", "g"), F.lit(m).alias("m"))
+        of_m = with_grams(hit, "h", m, "g").select("rid", "rt", F.posexplode_outer("g").alias("pos", "g"), F.lit(m).alias("m"))
         grams = of_m if grams is None else grams.unionByName(of_m)
     found = grams.join(windows, ["g", "m"])
     # a document's words and the items that it holds bound what these arrays gather
