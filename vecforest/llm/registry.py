@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import decontamination, fingerprints, lm_scores, packing, secrets
+from . import decontamination, fingerprints, lm_scores, packing, quality, secrets
 
 
 def queries() -> dict:
     return {
+        "op1_quality": quality.op1_quality,
         "op2_packing": packing.op2_packing,
         "op3_fingerprints": fingerprints.op3_fingerprints,
         "op6_lm_scores": lm_scores.op6_lm_scores,
