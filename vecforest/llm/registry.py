@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontamination, fingerprints, lm_scores, packing, quality, secrets
+from . import decontamination, fingerprints, lm_scores, packing, quality, secrets, toxicity
 
 
 def queries() -> dict:
@@ -13,6 +13,7 @@ def queries() -> dict:
         "op6_lm_scores": lm_scores.op6_lm_scores,
         "op7_secrets": secrets.op7_secrets,
         "op8_decontamination": decontamination.op8_decontamination,
+        "op10_toxicity": toxicity.op10_toxicity,
     }
 
 
