@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontamination, fingerprints, lm_scores, packing, quality, secrets, toxicity
+from . import decontamination, fingerprints, language, lm_scores, packing, quality, secrets, toxicity
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op1_quality": quality.op1_quality,
         "op2_packing": packing.op2_packing,
         "op3_fingerprints": fingerprints.op3_fingerprints,
+        "op5_language": language.op5_language,
         "op6_lm_scores": lm_scores.op6_lm_scores,
         "op7_secrets": secrets.op7_secrets,
         "op8_decontamination": decontamination.op8_decontamination,
