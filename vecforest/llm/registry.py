@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontamination, fingerprints, language, lm_scores, packing, quality, secrets, toxicity
+from . import decontamination, fingerprints, jaccard, language, lm_scores, packing, quality, secrets, toxicity
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op1_quality": quality.op1_quality,
         "op2_packing": packing.op2_packing,
         "op3_fingerprints": fingerprints.op3_fingerprints,
+        "op4_jaccard_join": jaccard.op4_jaccard_join,
         "op5_language": language.op5_language,
         "op6_lm_scores": lm_scores.op6_lm_scores,
         "op7_secrets": secrets.op7_secrets,
@@ -19,4 +20,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return {"op7_secrets": secrets.OP7_SQL, "op8_decontamination": decontamination.OP8_SQL}
+    return {"op4_jaccard_join": jaccard.OP4_SQL, "op7_secrets": secrets.OP7_SQL, "op8_decontamination": decontamination.OP8_SQL}
