@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontamination, fingerprints, jaccard, language, lm_scores, packing, quality, secrets, toxicity
+from . import decontamination, fingerprints, jaccard, language, lm_scores, packing, passages, quality, secrets, toxicity
 
 
 def queries() -> dict:
@@ -15,6 +15,7 @@ def queries() -> dict:
         "op6_lm_scores": lm_scores.op6_lm_scores,
         "op7_secrets": secrets.op7_secrets,
         "op8_decontamination": decontamination.op8_decontamination,
+        "op9_substring_dedup": passages.op9_substring_dedup,
         "op10_toxicity": toxicity.op10_toxicity,
     }
 
