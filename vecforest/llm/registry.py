@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import corpus_pipeline
+
 from . import decontamination, fingerprints, jaccard, language, lm_scores, packing, passages, quality, secrets, toxicity
 
 
@@ -16,6 +18,7 @@ def queries() -> dict:
         "op7_secrets": secrets.op7_secrets,
         "op8_decontamination": decontamination.op8_decontamination,
         "op9_substring_dedup": passages.op9_substring_dedup,
+        "pipeline": corpus_pipeline.run,
         "op10_toxicity": toxicity.op10_toxicity,
     }
 
