@@ -27,6 +27,7 @@ STEP = 10
 BLOCK = 256  # members of a block; a task compares two blocks at most
 LARGE = 8192  # candidate groups above are compared band by band
 KEPT_WORDS = 300_000
+SIEVE_BITS = 1 << 28  # of the filter that goes to all workers
 _GOLD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -191,8 +192,7 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE) ->
     with none. Null ids are told apart by nothing and count as one id, null.
     Equal rows are copies of each other.
     """
-    keyed = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("id", id_key(F.col("doc_id")))
-    keyed = keyed.withColumn("t1", F.xxhash64("text")).withColumn("t2", F.xxhash64(F.lit(7), F.col("text")))
+    keyed = docs.select(id_key(F.col("doc_id")).alias("id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("t", F.xxhash64("text", F.length("text")))
 
     def signed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         words = Words()
@@ -200,64 +200,91 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE) ->
             for at in range(0, len(batch), 512):
                 part = batch.iloc[at : at + 512]
                 rows = []
-                for i, t1, t2, text in zip(part["id"], part["t1"], part["t2"], part["text"], strict=True):
+                for i, t, text in zip(part["id"], part["t"], part["text"], strict=True):
                     sh = shingles(text, words, size)
-                    rows.append((i, t1, t2, len(sh), band_keys(signature(sh)).tolist() if len(sh) else []))
-                yield pd.DataFrame(rows, columns=["id", "t1", "t2", "n", "bands"])
+                    rows.append((i, t, len(sh), band_keys(signature(sh)).tolist() if len(sh) else []))
+                yield pd.DataFrame(rows, columns=["id", "t", "n", "bands"])
 
-    signs = staged(keyed.select("id", "t1", "t2", "text").mapInPandas(signed, "id long, t1 long, t2 long, n int, bands array<long>"), "signs")
-    texts = staged(signs.where("n > 0").groupBy("t1", "t2").agg(F.min("id").alias("rep"), F.count(F.lit(1)).alias("copies")), "texts")
+    signs = staged(keyed.mapInPandas(signed, "id long, t long, n int, bands array<long>"), "signs")
+    texts = staged(signs.where("n > 0").groupBy("t").agg(F.min("id").alias("least_id"), F.count(F.lit(1)).alias("copies")), "texts")
 
-    # groups of texts that share a band; each member is tied to the group's least
-    one = signs.where("n > 0").select("id", "t1", "t2", "bands").join(texts, ["t1", "t2"]).where("id = rep").dropDuplicates(["rep"])
-    banded = staged(one.select("rep", F.explode_outer("bands").alias("key")), "bands")
-    groups = staged(banded.groupBy("key").agg(F.min("rep").alias("least"), F.count(F.lit(1)).alias("n")).where("n > 1").select("key", "least"), "groups")
-    ties = banded.join(groups, "key").where("rep <> least").select(F.col("rep").alias("u"), F.col("least").alias("v"))
+    # groups of different texts that share a band; each member is tied to the group's least
+    banded = signs.where("n > 0").select("t", F.posexplode_outer("bands").alias("band", "key"))
+    groups = staged(banded.groupBy("key").agg(F.min("t").alias("least"), F.max("t").alias("most")).where("least <> most").select("key", "least"), "groups")
+    member_of = staged(banded.join(groups, "key").select("t", "band", "key", "least").distinct(), "members")
+    ties = member_of.where("t <> least").select(F.col("t").alias("u"), F.col("least").alias("v"))
     member = staged(components(ties), "candidates")
     weight = staged(member.groupBy("root").agg(F.count(F.lit(1)).alias("n")), "weights")
-    dealt = member.join(weight, "root").select(F.col("node").alias("rep"), "root", "n")
+    dealt = member.join(weight, "root").select(F.col("node").alias("t"), "root", "n")
     spread = lambda n: F.greatest(F.lit(1), F.ceil(n / BLOCK)).cast("int")
-    whole = dealt.where(F.col("n") <= LARGE).select("rep", F.col("root").alias("cell"), F.lit(-1).alias("band"), spread(F.col("n")).alias("blocks"))
-    large = dealt.where(F.col("n") > LARGE).select("rep")
-    in_bands = banded.join(groups, "key").select("rep", "key").join(large, "rep")
+    whole = dealt.where(F.col("n") <= LARGE).select("t", F.col("root").alias("cell"), F.lit(-1).alias("band"), spread(F.col("n")).alias("blocks"))
+    in_bands = member_of.join(dealt.where(F.col("n") > LARGE).select("t"), "t").select("t", "band", "key")
     counts = staged(in_bands.groupBy("key").agg(F.count(F.lit(1)).alias("n")), "band-counts")
-    in_bands = in_bands.join(counts, "key").where("n > 1")
-    number = one.select("rep", F.posexplode_outer("bands").alias("band", "key")).join(large, "rep").select("key", "band").distinct()
-    in_bands = in_bands.join(number, "key").select("rep", F.col("key").alias("cell"), "band", spread(F.col("n")).alias("blocks"))
-    cells = whole.unionByName(in_bands).withColumn("block", F.pmod(F.xxhash64("rep", "cell"), F.col("blocks")).cast("int"))
+    in_bands = in_bands.join(counts, "key").select("t", F.col("key").alias("cell"), "band", spread(F.col("n")).alias("blocks"))
+    cells = whole.unionByName(in_bands).withColumn("block", F.pmod(F.xxhash64("t", "cell"), F.col("blocks")).cast("int"))
     cells = staged(cells, "cells")
 
-    # the texts of the members, once more from the source, as shingles
-    wanted = cells.select("rep").distinct().join(texts, "rep")
-    wanted = staged(wanted.select("rep", "t1", "t2", "copies"), "wanted")
+    # shingles of the members, from the source once more; a filter of bounded size keeps most other texts out of the shuffle
+    wanted = staged(cells.select("t").distinct().join(texts, "t").select("t", "least_id", "copies"), "wanted")
+    sieve = spark_sieve(wanted)
 
     def as_shingles(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        words = Words()
+        words, bits = Words(), sieve.value
         for batch in batches:
-            yield pd.DataFrame({"rep": batch["rep"], "copies": batch["copies"], "shingles": [shingles(t, words, size).tobytes() for t in batch["text"]]})
+            some = batch[sieved(batch["t"].to_numpy() ^ batch["id"].to_numpy(), bits)]
+            yield pd.DataFrame({"id": some["id"], "t": some["t"], "shingles": [shingles(t, words, size).tobytes() for t in some["text"]]})
 
-    some = keyed.join(wanted, ["t1", "t2"]).where("id = rep").dropDuplicates(["rep"]).select("rep", "copies", "text")
-    some = staged(some.mapInPandas(as_shingles, "rep long, copies long, shingles binary"), "shingles")
+    found_texts = keyed.mapInPandas(as_shingles, "id long, t long, shingles binary")
+    some = found_texts.join(wanted, "t").where("id = least_id").dropDuplicates(["t"]).select(F.col("t").alias("rep"), "copies", "shingles")
+    some = staged(some, "shingles")
     pairs = cells.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    pairs = pairs.select("rep", "cell", "band", "block", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"))
+    pairs = pairs.select(F.col("t").alias("rep"), "cell", "band", "block", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"))
     floors = least_matches(threshold)
     found = pairs.join(some, "rep").groupBy("cell", "lo", "hi", "band").applyInPandas(lambda key, pdf: _compared(key, pdf, threshold, floors), "rep long, links long, hang long")
     found = staged(found, "links")
 
-    tied = components(found.where("rep <> hang").select(F.col("rep").alias("u"), F.col("hang").alias("v")))
-    tally = found.groupBy("rep").agg(F.sum("links").alias("links"))
-    per_text = texts.join(tally, "rep", "left").join(tied.select(F.col("node").alias("rep"), "root"), "rep", "left")
-    per_text = staged(per_text.select("t1", "t2", "copies", F.coalesce("root", "rep").alias("root"), F.coalesce("links", F.lit(0)).alias("links")), "per-text")
-    out = signs.select("id", "t1", "t2").join(per_text, ["t1", "t2"], "left")
+    tied = staged(components(found.where("rep <> hang").select(F.col("rep").alias("u"), F.col("hang").alias("v"))), "tied")
+    ids = tied.join(texts, tied["node"] == texts["t"]).groupBy("root").agg(F.min("least_id").alias("class"))
+    tally = found.groupBy("rep").agg(F.sum("links").alias("links")).join(tied, F.col("rep") == F.col("node")).join(ids, "root").select(F.col("rep").alias("t"), "links", "class")
+    linked = staged(tally, "linked")
+    per_text = texts.where("copies > 1").select("t", "copies", "least_id").join(linked, "t", "full").select("t", F.coalesce("copies", F.lit(1)).alias("copies"), F.coalesce("class", "least_id").alias("class"), F.coalesce("links", F.lit(0)).alias("links"))
+    out = signs.select("id", "t").join(staged(per_text, "per-text"), "t", "left")
     back = lambda c: F.when(c != NO_ID, c)
     return out.select(
         back(F.col("id")).alias("doc_id"),
-        back(F.coalesce("root", "id")).alias("class_id"),
+        back(F.coalesce("class", "id")).alias("class_id"),
         (F.coalesce("links", F.lit(0)) + F.coalesce(F.col("copies") - 1, F.lit(0))).cast("long").alias("n_links"),
         F.coalesce(F.col("copies") - 1, F.lit(0)).cast("long").alias("n_copies"),
     )
 
 
+def spark_sieve(wanted: DataFrame, most_bits: int = SIEVE_BITS):
+    """Broadcast bitmap of hashed (text, id) keys: 16 bits a row as long as that stays below most_bits; more rows let more others through."""
+    n = wanted.count()
+    size = 1 << max(10, min(most_bits.bit_length() - 1, (16 * max(n, 1)).bit_length()))
+
+    def mark(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        bits = np.zeros(size, dtype=bool)
+        for batch in batches:
+            bits[_slot(batch["t"].to_numpy() ^ batch["least_id"].to_numpy(), size)] = True
+        if bits.any():
+            yield pd.DataFrame({"bits": [np.packbits(bits).tobytes()]})
+
+    every = np.zeros(size // 8, dtype=np.uint8)
+    for row in wanted.coalesce(8).mapInPandas(mark, "bits binary").toLocalIterator():
+        every |= np.frombuffer(bytes(row["bits"]), dtype=np.uint8)
+    return wanted.sparkSession.sparkContext.broadcast(every)
+
+
+def _slot(keys: np.ndarray, size: int) -> np.ndarray:
+    return (mixed(keys.astype(np.int64).view(np.uint64)) % np.uint64(size)).astype(np.int64)
+
+
+def sieved(keys: np.ndarray, bits: np.ndarray) -> np.ndarray:
+    at = _slot(keys, 8 * len(bits))
+    return ((bits[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1).astype(bool)
+
+
 def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return join(table(spark, sf_dir, "documents"))
 
