@@ -1,0 +1 @@
+"""File formats of public vector sets."""

@@ -1,0 +1 @@
+"""Structured Streaming: encoding, insertion, queries, windows, drift."""
