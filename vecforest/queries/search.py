@@ -655,3 +655,33 @@ def conversation_recall(spark, sf_dir):
     return rounded(exact_knn(c.where("role = 'assistant'"), q, 5))
 
 
+
+
+@query("layered_graph_ann")
+def layered_graph(spark, sf_dir):
+    from ..baselines.layered_graph import layered_graph_ann
+
+    v = points(spark, sf_dir)
+    return layered_graph_ann(v, queries_of(v), K_NN)
+
+
+@query("multi_codebook_ann")
+def multi_codebook(spark, sf_dir):
+    from ..baselines.multi_codebook import multi_codebook_ann
+
+    v = points(spark, sf_dir)
+    return multi_codebook_ann(v, queries_of(v), K_NN, exact=100)
+
+
+@query("wl_rivals")
+def wl_rivals(spark, sf_dir):
+    from ..workloads import w10_to_w13_rivals
+
+    return metrics.tidy(spark, w10_to_w13_rivals(points(spark, sf_dir), K_NN)).where("measure <> 'seconds'")
+
+
+@query("wl_guarantee")
+def wl_guarantee(spark, sf_dir):
+    from ..workloads import w20_guarantee
+
+    return metrics.tidy(spark, w20_guarantee(points(spark, sf_dir), seeds=2))
