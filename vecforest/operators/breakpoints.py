@@ -66,7 +66,7 @@ def breakpoints(projected: DataFrame, K: int, L: int, regions: int = 256, method
     elif method == "kll":
         row = part.agg(*[F.expr(f"kll_sketch_agg_double(proj[{g}], 2000)").alias(f"s{g}") for g in range(G)])
         shares = "array(" + ",".join(f"{(r - 0.5) / m}D" for r in at) + ")"
-        got = row.select(*[F.expr(f"transform({shares}, q -> kll_sketch_get_quantile_double(s{g}, q))").alias(f"q{g}") for g in range(G)]).first()
+        got = row.select(*[F.expr(f"kll_sketch_get_quantile_double(s{g}, {shares})").alias(f"q{g}") for g in range(G)]).first()
         inner = [list(got[g]) for g in range(G)]
     else:
         raise ValueError(method)
