@@ -23,7 +23,8 @@ from .quality import held_out, sampled_labels
 SAMPLE = 20_000
 LEXICON = 2_000  # most features that a round of learning adds
 KEPT = 200_000
-USUAL = 200.0  # pieces of evidence of a document that counts fully
+FEWEST = 3  # documents that a piece of evidence needs
+USUAL = 1000.0  # pieces of evidence of a document that counts fully
 
 #: Letters that a sign may stand for, in natural order of the signs.
 STANDS_FOR = {"!": "il", "$": "s", "(": "c", "+": "t", "0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "g", "7": "t", "8": "b", "9": "g", "@": "a", "|": "il", "€": "e"}
@@ -227,15 +228,15 @@ def train(docs: DataFrame, labels: DataFrame, costs: np.ndarray, most: int = SAM
     for share in (0.01, 0.1):  # then what the first evidence leaves unexplained
         counts = left.select("y", "weight", F.explode_outer("e").alias("x")).groupBy("x").agg(F.sum(F.col("y") * F.col("weight")).alias("a"), F.sum("y").alias("docs"), F.sum(1 - F.col("y")).alias("b"))
         odds = F.log((F.col("a") + 0.5) / (n_left + 1)) - F.log((F.col("b") + 0.5) / (good + 1))
-        enough = max(4, math.ceil(share * n_left))
-        kept = counts.withColumn("w", odds).where((F.col("a") >= enough) & (F.col("b") <= 0.05 * F.col("docs")) & (F.col("w") > 2.5)).orderBy(F.desc(F.col("a") * F.col("w")), "x").limit(LEXICON).collect()
+        enough = max(1.0, share * n_left)
+        kept = counts.withColumn("w", odds).where((F.col("docs") >= FEWEST) & (F.col("a") >= enough) & (F.col("b") <= 0.05 * F.col("docs")) & (F.col("w") > 2.5)).orderBy(F.desc(F.col("a") * F.col("w")), "x").limit(LEXICON).collect()
         weights |= {r["x"]: r["w"] for r in kept}
         if not kept:
             break
         words = F.array(*[F.lit(x) for x in weights])
         left = left.where((F.col("y") == 0) | ~F.arrays_overlap("e", words))
         n_left = left.where("y = 1").agg(F.sum("weight")).first()[0] or 0.0
-        if n_left < 4:
+        if n_left < 1:
             break
     lexicon = Lexicon(weights, 1.0, 0.0)
 
