@@ -14,12 +14,17 @@ from pyspark.sql import functions as F
 
 from .common import ascii_lower, id_key, staged, table, text_key, with_grams, with_window_minima
 
-#: Fixed value of the contract: what a word is, after lower-casing A-Z.
-WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+#: Fixed values of the contract: what parts words after lower-casing A-Z, and before. Splitting is far faster than extracting here.
+BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+BETWEEN_ANY_CASE = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
 
 def words(text: Column) -> Column:
-    return F.regexp_extract_all(ascii_lower(F.coalesce(text, F.lit(""))), F.lit(WORD), F.lit(0))
+    return F.array_remove(F.split(ascii_lower(F.coalesce(text, F.lit(""))), BETWEEN), "")
+
+
+def n_words(text: Column) -> Column:
+    return F.size(F.array_remove(F.split(F.coalesce(text, F.lit("")), BETWEEN_ANY_CASE), "")).cast("long")
 
 
 def _hashed(df: DataFrame, text: str) -> DataFrame:
@@ -78,7 +83,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, k: int = 5, span: int = 13,
         lambda acc: acc["n"],
     )
     per_doc = staged(spans.select("rid", "rt", covered.cast("long").alias("n_hit"), F.size("its").cast("long").alias("n_items"), F.sha2(F.array_join("its", ","), 256).alias("items_sha256")), "found")
-    base = keyed.select("doc_id", "rid", "rt", F.size(words(F.col("text"))).cast("long").alias("n_words"))
+    base = keyed.select("doc_id", "rid", "rt", n_words(F.col("text")).alias("n_words"))
     out = base.join(per_doc, ["rid", "rt"], "left").select(
         "doc_id",
         "n_words",
