@@ -75,13 +75,13 @@ def chi2_check(points: DataFrame, queries: DataFrame, matrix: np.ndarray, K: int
     """Moments of the squared projected over the squared true distance, by space: about K and 2K."""
     pairs = pair_differences(points, queries, matrix, K)
     L = len(matrix) // K
-    ratios = pairs.select(F.posexplode(F.array(*[F.aggregate(F.slice("delta", i * K + 1, K), F.lit(0.0), lambda m, x: m + x * x) / (F.col("s") * F.col("s")) for i in range(L)])).alias("i", "ratio"))
+    ratios = pairs.select(F.posexplode(F.array(*[F.try_divide(F.aggregate(F.slice("delta", i * K + 1, K), F.lit(0.0), lambda m, x: m + x * x), F.col("s") * F.col("s")) for i in range(L)])).alias("i", "ratio"))
     return ratios.groupBy((F.col("i") + 1).alias("space")).agg(F.count(F.lit(1)).alias("pairs"), F.avg("ratio").alias("mean"), F.var_samp("ratio").alias("variance"))
 
 
 def stability_check(points: DataFrame, queries: DataFrame, matrix: np.ndarray, K: int) -> DataFrame:
     """Moments of single differences over the true distance: about those of N(0, 1)."""
-    one = pair_differences(points, queries, matrix, K).select(F.explode(F.transform("delta", lambda x: x / F.col("s"))).alias("z"))
+    one = pair_differences(points, queries, matrix, K).select(F.explode(F.transform("delta", lambda x: F.try_divide(x, F.col("s")))).alias("z"))
     return one.agg(F.count(F.lit(1)).alias("n"), F.avg("z").alias("mean"), F.var_samp("z").alias("variance"), F.skewness("z").alias("skewness"), F.kurtosis("z").alias("kurtosis"))
 
 
@@ -90,7 +90,7 @@ def tail_check(points: DataFrame, queries: DataFrame, matrix: np.ndarray, K: int
     pairs = pair_differences(points, queries, matrix, K)
     L = len(matrix) // K
     grid = F.explode(F.array(*[F.struct(F.lit(a).alias("alpha"), F.lit(x).alias("x")) for a, x in tails])).alias("g")
-    ratio = F.array(*[F.aggregate(F.slice("delta", i * K + 1, K), F.lit(0.0), lambda m, x: m + x * x) / (F.col("s") * F.col("s")) for i in range(L)])
+    ratio = F.array(*[F.try_divide(F.aggregate(F.slice("delta", i * K + 1, K), F.lit(0.0), lambda m, x: m + x * x), F.col("s") * F.col("s")) for i in range(L)])
     return pairs.select(ratio.alias("r"), grid).select(F.explode("r").alias("r"), "g").groupBy(F.col("g.alpha").alias("alpha")).agg(F.avg((F.col("r") > F.col("g.x")).cast("double")).alias("rate"))
 
 

@@ -685,3 +685,55 @@ def wl_guarantee(spark, sf_dir):
     from ..workloads import w20_guarantee
 
     return metrics.tidy(spark, w20_guarantee(points(spark, sf_dir), seeds=2))
+
+
+# more of the statistics
+
+
+@query("stability", sq.with_(*base(), "t AS (SELECT query_id, vec_id, list_distance(e, qe) AS s FROM v, q WHERE vec_id <> query_id)", "z AS (SELECT (o.x - p.x) / s AS z FROM pr o JOIN pr p ON o.space = p.space AND o.dim = p.dim JOIN t ON t.query_id = p.vec_id AND t.vec_id = o.vec_id)") + "SELECT count(*) AS n, round(avg(z), 6) AS mean, round(var_samp(z), 6) AS variance FROM z")
+def stability(spark, sf_dir):
+    from ..operators.projection import stability_check
+
+    v = points(spark, sf_dir)
+    return stability_check(v, queries_of(v), matrix(P.K, P.L), P.K).select("n", F.round("mean", 6).alias("mean"), F.round("variance", 6).alias("variance"))
+
+
+TAILS = [(a, chi2_upper(a, P.K)) for a in (0.05, 0.3679, 0.7788)]
+
+
+@query("tail_rates", sq.with_(*base(), "t AS (SELECT query_id, vec_id, list_distance(e, qe) AS s FROM v, q WHERE vec_id <> query_id)", "r AS (SELECT s.vec_id AS query_id, o.vec_id, o.space, sum((o.x - s.x) * (o.x - s.x)) AS p FROM pr o JOIN pr s ON o.space = s.space AND o.dim = s.dim AND s.vec_id % 100 = 0 AND o.vec_id <> s.vec_id GROUP BY ALL)", "g(alpha, x) AS (VALUES " + ",".join(f"({sq.number(a)},{sq.number(x)})" for a, x in TAILS) + ")") + "SELECT alpha, round(avg(CASE WHEN p / (s * s) > x THEN 1.0 ELSE 0.0 END), 6) AS rate FROM r JOIN t USING (query_id, vec_id), g GROUP BY alpha")
+def tail_rates(spark, sf_dir):
+    from ..operators.projection import tail_check
+
+    v = points(spark, sf_dir)
+    return tail_check(v, queries_of(v), matrix(P.K, P.L), P.K, TAILS).select("alpha", F.round("rate", 6).alias("rate"))
+
+
+@query("check_cann", sq.with_(*ck_parts(), sq.truth(1)) + f"SELECT t.query_id, coalesce(r.dist <= round(t.dist * {sq.number(P.c**2)}, 9), false) AS valid FROM truth t LEFT JOIN res r ON r.query_id = t.query_id AND r.rank = 1")
+def check_cann(spark, sf_dir):
+    from ..operators.exact import check_c_ann
+
+    v = points(spark, sf_dir)
+    q = collected(queries_of(v))
+    return check_c_ann(ann.ck_ann(v, q, K_NN, P).result, exact_knn(v, q, 1), P.c**2).select("query_id", "valid")
+
+
+@query("range_leaf_filter")
+def range_leaf_filter(spark, sf_dir):
+    q = collected(queries_of(points(spark, sf_dir)))
+    index, out = small_index(spark, sf_dir), None
+    for f in ("exact", "cell", "leaf"):
+        rows = range_query(index, q, REACH, f).groupBy("query_id").agg(F.count(F.lit(1)).alias("points")).withColumn("filter", F.lit(f))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+@query("wl_static_recall")
+def wl_static_recall(spark, sf_dir):
+    """Static against dynamic cut points in the same trees, on skewed order lines."""
+    v = views.line_num(spark, sf_dir)
+    rows = []
+    for encoder in ("dynamic", "static"):
+        r = build_index(v, SMALL.with_(max_size=256), encoder=encoder, method="approx_percentile").stats().agg(F.sum("leaves").alias("leaves"), F.max("largest").alias("largest"), F.sum("saturated").alias("saturated")).first()
+        rows.append((encoder, r["leaves"], r["largest"], r["saturated"]))
+    return spark.createDataFrame(rows, "encoder string, leaves long, largest long, saturated long")
