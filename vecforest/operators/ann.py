@@ -32,7 +32,10 @@ def ck_ann(points: DataFrame, queries: DataFrame | Queries, k: int = 50, params:
     params = params or ForestParams()
     q = queries if isinstance(queries, Queries) else collected(queries)
     some = points if where is None else points.where(where)
-    return engine.search(some.select("vec_id", "embedding"), q, spaces_of(points, params), k, params.c, params.eps, lambda n: params.need(n, k), r_min, rounds, stop)
+    out = engine.search(some.select("vec_id", "embedding"), q, spaces_of(points, params), k, params.c, params.eps, lambda n: params.need(n, k), r_min, rounds, stop)
+    # the proof takes a first radius below the nearest distance, which the budget's radius is not
+    out.guaranteed = r_min != "budget" and all(params.guaranteed(n, k) for n in out.stops.n.values())
+    return out
 
 
 def rc_ann(points: DataFrame, queries: DataFrame | Queries, r: float, params: ForestParams | None = None) -> DataFrame:

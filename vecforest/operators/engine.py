@@ -206,6 +206,7 @@ class Search:
     result: DataFrame
     stops: Stops
     radii: Radii
+    guaranteed: bool = False  # by its parameters: budget and first radius
 
 
 def search(points: DataFrame, q: Queries, spaces: Spaces, k: int, c: float, eps: float, need_of, r_min: str | float | dict = "budget", rounds: int | None = None, every: str = "tree", n: int | None = None) -> Search:
