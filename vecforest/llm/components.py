@@ -2,12 +2,44 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import staged
 
 MOST_ROUNDS = 60
+CHUNK = 200_000  # links that a task joins up before it sends them
+
+
+def _forests(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Links of a chunk as stars: each node under the least node that the chunk ties it to. A combiner: what is connected stays so."""
+
+    def stars(parent: dict[int, int]) -> pd.DataFrame:
+        out = [(u, _root(parent, u)) for u in parent]
+        return pd.DataFrame([x for x in out if x[0] != x[1]], columns=["u", "v"])
+
+    parent: dict[int, int] = {}
+    held = 0
+    for batch in batches:
+        for u, v in zip(batch["u"].tolist(), batch["v"].tolist(), strict=True):
+            a, b = _root(parent, parent.setdefault(u, u)), _root(parent, parent.setdefault(v, v))
+            if a != b:
+                parent[max(a, b)] = min(a, b)
+        held += len(batch)
+        if held >= CHUNK:
+            yield stars(parent)
+            parent, held = {}, 0
+    yield stars(parent)
+
+
+def _root(parent: dict[int, int], x: int) -> int:
+    while parent[x] != x:
+        parent[x] = parent[parent[x]]
+        x = parent[x]
+    return x
 
 
 def _least(links: DataFrame) -> DataFrame:
@@ -23,7 +55,8 @@ def components(links: DataFrame) -> DataFrame:
     Rounds end when no link changes; their number grows as the logarithm of
     the longest chain.
     """
-    cur = staged(links.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u <> v").distinct(), "links")
+    stars = links.select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v")).where("u <> v").mapInPandas(_forests, "u long, v long")
+    cur = staged(stars.distinct(), "links")
     mark = None
     for _ in range(MOST_ROUNDS):
         both = cur.unionByName(cur.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -31,7 +64,7 @@ def components(links: DataFrame) -> DataFrame:
         large = large.distinct()
         low = large.join(_least(large), "u")
         small = low.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
-        cur = staged(small, "links")
+        cur = staged(small.mapInPandas(_forests, "u long, v long").distinct(), "links")
         now = cur.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("u", "v"))).first()
         if now == mark:
             break

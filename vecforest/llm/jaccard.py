@@ -32,12 +32,12 @@ _GOLD = np.uint64(0x9E3779B97F4A7C15)
 
 
 class Words(dict):
-    """Hashes of words as met; forgets all when full."""
+    """Hashes of words; keeps those met first, the frequent ones among them."""
 
     def __missing__(self, word: str) -> int:
-        if len(self) >= KEPT_WORDS:
-            self.clear()
-        h = self[word] = xxhash.xxh3_64_intdigest(word.encode("utf-8", "surrogatepass"))
+        h = xxhash.xxh3_64_intdigest(word.encode("utf-8", "surrogatepass"))
+        if len(self) < KEPT_WORDS:
+            self[word] = h
         return h
 
 
@@ -52,11 +52,24 @@ def shingles(text: str, words: Words, size: int = SHINGLE) -> np.ndarray:
     h = np.array(list(map(words.__getitem__, text.lower().split())), dtype=np.uint64)
     if not len(h):
         return h
-    many = max(1, len(h) - size + 1)
-    out = np.zeros(many, dtype=np.uint64)
-    for j in range(min(size, len(h))):
-        out = mixed(out + _GOLD + h[j : j + many])
-    return np.unique(out)
+    return np.unique(runs(h, min(size, len(h))))
+
+
+def runs(h: np.ndarray, size: int) -> np.ndarray:
+    """Hashes of all runs of `size` values, put together from runs of 1, 2, 4, ... values."""
+    out, at, length = None, 0, 1
+    while True:
+        if size & length:
+            if out is None:
+                out = h
+            else:
+                n = min(len(out), len(h) - at)
+                out = mixed(out[:n] * _GOLD + h[at : at + n] + np.uint64(length))
+            at += length
+        if at == size:
+            return out
+        h = mixed(h[:-length] * _GOLD + h[length:] + np.uint64(size))
+        length *= 2
 
 
 def _factors() -> tuple[np.ndarray, np.ndarray]:
@@ -211,7 +224,20 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE) ->
     # groups of different texts that share a band; each member is tied to the group's least
     banded = signs.where("n > 0").select("t", F.posexplode_outer("bands").alias("band", "key"))
     groups = staged(banded.groupBy("key").agg(F.min("t").alias("least"), F.max("t").alias("most")).where("least <> most").select("key", "least"), "groups")
-    member_of = staged(banded.join(groups, "key").select("t", "band", "key", "least").distinct(), "members")
+    of_groups = broadcast_sieve(groups.select(F.col("key").alias("k")))
+
+    def in_groups(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        bits = of_groups.value
+        for batch in batches:
+            some = batch[batch["n"] > 0]
+            if not len(some):
+                continue
+            keys = np.stack([np.asarray(b, dtype=np.int64) for b in some["bands"]])
+            at, band = np.nonzero(sieved(keys.reshape(-1), bits).reshape(keys.shape))
+            yield pd.DataFrame({"t": some["t"].to_numpy()[at], "band": band, "key": keys[at, band]})
+
+    near = signs.select("t", "n", "bands").mapInPandas(in_groups, "t long, band int, key long")
+    member_of = staged(near.join(groups, "key").select("t", "band", "key", "least").distinct(), "members")
     ties = member_of.where("t <> least").select(F.col("t").alias("u"), F.col("least").alias("v"))
     member = staged(components(ties), "candidates")
     weight = staged(member.groupBy("root").agg(F.count(F.lit(1)).alias("n")), "weights")
@@ -226,7 +252,7 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE) ->
 
     # shingles of the members, from the source once more; a filter of bounded size keeps most other texts out of the shuffle
     wanted = staged(cells.select("t").distinct().join(texts, "t").select("t", "least_id", "copies"), "wanted")
-    sieve = spark_sieve(wanted)
+    sieve = broadcast_sieve(wanted.select(F.col("t").bitwiseXOR(F.col("least_id")).alias("k")))
 
     def as_shingles(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         words, bits = Words(), sieve.value
@@ -258,22 +284,25 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE) ->
     )
 
 
-def spark_sieve(wanted: DataFrame, most_bits: int = SIEVE_BITS):
-    """Broadcast bitmap of hashed (text, id) keys: 16 bits a row as long as that stays below most_bits; more rows let more others through."""
-    n = wanted.count()
+def broadcast_sieve(keys: DataFrame, most_bits: int = SIEVE_BITS):
+    """Broadcast bitmap of the hashed keys (k long): 16 bits a row as long as that stays below most_bits; more rows let more others through.
+
+    It only keeps most of the other rows out of a shuffle; a join decides.
+    """
+    n = keys.count()
     size = 1 << max(10, min(most_bits.bit_length() - 1, (16 * max(n, 1)).bit_length()))
 
     def mark(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         bits = np.zeros(size, dtype=bool)
         for batch in batches:
-            bits[_slot(batch["t"].to_numpy() ^ batch["least_id"].to_numpy(), size)] = True
+            bits[_slot(batch["k"].to_numpy(), size)] = True
         if bits.any():
             yield pd.DataFrame({"bits": [np.packbits(bits).tobytes()]})
 
     every = np.zeros(size // 8, dtype=np.uint8)
-    for row in wanted.coalesce(8).mapInPandas(mark, "bits binary").toLocalIterator():
+    for row in keys.coalesce(8).mapInPandas(mark, "bits binary").toLocalIterator():
         every |= np.frombuffer(bytes(row["bits"]), dtype=np.uint8)
-    return wanted.sparkSession.sparkContext.broadcast(every)
+    return keys.sparkSession.sparkContext.broadcast(every)
 
 
 def _slot(keys: np.ndarray, size: int) -> np.ndarray:
