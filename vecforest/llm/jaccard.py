@@ -170,6 +170,7 @@ def _root(parent: np.ndarray, x: int) -> int:
 
 def _compared(key, pdf: pd.DataFrame, threshold: float, floors: list[int]) -> pd.DataFrame:
     """All pairs of one cell: for each member its links here (copies counted) and the least member that it hangs with."""
+    pdf = pdf.drop_duplicates("rep")  # equal rows of the source
     sets = [np.frombuffer(s, dtype=np.uint64) for s in pdf["shingles"]]
     sigs = np.stack([signature(s) for s in sets])
     block = pdf["block"].to_numpy()
@@ -261,12 +262,11 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE) ->
             yield pd.DataFrame({"id": some["id"], "t": some["t"], "shingles": [shingles(t, words, size).tobytes() for t in some["text"]]})
 
     found_texts = keyed.mapInPandas(as_shingles, "id long, t long, shingles binary")
-    some = found_texts.join(wanted, "t").where("id = least_id").dropDuplicates(["t"]).select(F.col("t").alias("rep"), "copies", "shingles")
-    some = staged(some, "shingles")
     pairs = cells.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    pairs = pairs.select(F.col("t").alias("rep"), "cell", "band", "block", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"))
+    pairs = pairs.join(wanted, "t").select("t", "least_id", "copies", "cell", "band", "block", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"))
+    pairs = found_texts.join(staged(pairs, "pairs"), "t").where("id = least_id").select(F.col("t").alias("rep"), "copies", "shingles", "cell", "band", "block", "lo", "hi")
     floors = least_matches(threshold)
-    found = pairs.join(some, "rep").groupBy("cell", "lo", "hi", "band").applyInPandas(lambda key, pdf: _compared(key, pdf, threshold, floors), "rep long, links long, hang long")
+    found = pairs.groupBy("cell", "lo", "hi", "band").applyInPandas(lambda key, pdf: _compared(key, pdf, threshold, floors), "rep long, links long, hang long")
     found = staged(found, "links")
 
     tied = staged(components(found.where("rep <> hang").select(F.col("rep").alias("u"), F.col("hang").alias("v"))), "tied")
