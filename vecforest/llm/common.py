@@ -66,6 +66,11 @@ def id_key(doc_id: Column) -> Column:
     return F.coalesce(doc_id.cast("long"), F.lit(NO_ID))
 
 
+def row_key(doc_id: Column, text: Column) -> Column:
+    """64-bit key of a row by id and text; null ids are told apart by their texts."""
+    return F.xxhash64(id_key(doc_id), F.coalesce(text, F.lit("")), F.length(F.coalesce(text, F.lit(""))))
+
+
 def shifted(array: Column, by: int) -> Column:
     return F.slice(array, by + 1, 1 << 30)
 

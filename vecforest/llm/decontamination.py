@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, id_key, staged, table, text_key, with_grams, with_window_minima
+from .common import ascii_lower, id_key, row_key, staged, table, text_key, with_grams, with_window_minima
 
 #: Fixed values of the contract: what parts words after lower-casing A-Z, and before. Splitting is far faster than extracting here.
 BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -100,8 +100,9 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: documents that are not contaminated, all their columns; rows with a null doc_id are judged by their text alone."""
-    bad = decontaminate(docs.select("doc_id", "text"), table(spark, sf_dir, "benchmark")).where("contaminated").select(id_key(F.col("doc_id")).alias("__bad")).distinct()
-    return docs.withColumn("__bad", id_key(F.col("doc_id"))).join(bad, "__bad", "left_anti").select(*docs.columns)
+    keyed = docs.withColumn("__row", row_key(F.col("doc_id"), F.col("text")))
+    bad = decontaminate(keyed.select(F.col("__row").alias("doc_id"), "text"), table(spark, sf_dir, "benchmark")).where("contaminated").select(F.col("doc_id").alias("__row")).distinct()
+    return keyed.join(bad, "__row", "left_anti").select(*docs.columns)
 
 
 OP8_SQL = r"""

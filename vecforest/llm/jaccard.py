@@ -16,7 +16,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import NO_ID, id_key, staged, table
+from .common import NO_ID, id_key, row_key, staged, table
 from .components import components
 
 SHINGLE, THRESHOLD = 5, 0.8
@@ -319,10 +319,12 @@ def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: of each class the document with the least doc_id stays; of equal ids the one with the least text."""
-    least = join(docs.select("doc_id", "text")).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(id_key(F.col("doc_id")).alias("__id")).distinct()
-    kept = docs.withColumn("__id", id_key(F.col("doc_id"))).join(least, "__id", "left_semi")
-    return kept.dropDuplicates(["__id"]).select(*docs.columns)
+    """Pipeline stage: of each class one document stays, that with the least doc_id (null last), of equal ids the one with the least hash of id and text. Rows are told apart by id and text."""
+    keyed = docs.withColumn("__row", row_key(F.col("doc_id"), F.col("text")))
+    classes = staged(join(keyed.select(F.col("__row").alias("doc_id"), "text")).select(F.col("doc_id").alias("__row"), F.col("class_id").alias("__class")).distinct(), "classes")
+    order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").cast("long").alias("id"), F.col("__row").alias("row"))
+    least = keyed.select("doc_id", "__row").join(classes, "__row").groupBy("__class").agg(F.min(order).alias("first")).select(F.col("first.row").alias("__row"))
+    return keyed.join(least, "__row", "left_semi").dropDuplicates(["__row"]).select(*docs.columns)
 
 
 OP4_SQL = r"""
