@@ -167,7 +167,7 @@ def of_pages(pages: DataFrame, docs: DataFrame) -> DataFrame:
     html, url = F.col("html"), F.col("url")
     host = F.lower(F.regexp_extract(url, r"^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]+)", 1))
     step = F.regexp_extract(url, r"^[a-zA-Z][a-zA-Z0-9+.-]*://[^/?#]*/([a-zA-Z]{2})(?:[/?#]|$)", 1)
-    declared = F.lower(F.regexp_extract(F.substring(html, 1, 4000), r"(?i)<html\b[^>]*?\blang\s*=\s*[\"']?([a-zA-Z]+)", 1))
+    declared = F.lower(F.regexp_extract(html, r"(?i)<html\b[^>]*?\blang\s*=\s*[\"']?([a-zA-Z]+)", 1))
     rows = pages.select(
         F.struct(F.col("page_id").alias("page_id"), F.nullif(declared, F.lit("")).alias("declared")).alias("id"),
         html.alias("text"),
