@@ -141,6 +141,27 @@ def test_passages(spark):
     assert passages.repeated_passages(documents(spark)).count() > 0  # ids occur twice there
 
 
+@pytest.mark.parametrize("few", [64, 2])
+def test_passage_of_parts_that_others_hold(spark, monkeypatch, few):
+    monkeypatch.setattr(passages, "FEW_HOLDERS", few, raising=False)
+    a, b = sentence(700, 40), sentence(701, 40)
+    held = {1: a, 20: a, 2: b, 19: b, 5: f"{a} {b}", 10: f"{a} {b}", 15: f"{a} {b}"}
+    rows = [(i, f"{sentence(710 + i, 70)} {t} {sentence(740 + i, 70)}") for i, t in held.items()]
+    got = passages.repeated_passages(documents(spark, rows)).collect()
+    assert {r["doc_id"] for r in got} == {5, 10, 15}
+    assert all(r["start_word"] <= 71 and r["end_word"] >= 149 for r in got)
+
+
+@pytest.mark.parametrize("few", [64, 2])
+def test_changed_passage_of_parts_that_others_hold(spark, monkeypatch, few):
+    monkeypatch.setattr(passages, "FEW_HOLDERS", few, raising=False)
+    a, b = sentence(700, 40), sentence(701, 40)
+    held = {1: a, 20: a, 2: b, 19: b, 5: f"{a} five {b}", 10: f"{a} ten {b}", 15: f"{a} fifteen {b}"}  # no run of 51 equal words
+    rows = [(i, f"{sentence(710 + i, 70)} {t} {sentence(740 + i, 70)}") for i, t in held.items()]
+    got = passages.repeated_passages(documents(spark, rows)).collect()
+    assert {(r["doc_id"], r["other_id"]) for r in got} == {(x, y) for x in (5, 10, 15) for y in (5, 10, 15) if x != y}
+
+
 def test_chains():
     a = np.array([0, 4, 9, 200, 204, 208, 212])
     got = sorted(passages.chains(a, a + 7))
