@@ -60,36 +60,97 @@ def test_restoring(spark, sf):
     assert len(r.text("a" * 50_000)) <= 50_000
 
 
-def test_model_scores_by_hand(spark, monkeypatch):
+def _tokens(text):
+    return [*(text or "").encode().lower().split(), None]
+
+
+def _trained_counts(rows):
+    words, pairs = {}, {}
+    for i, t in rows:
+        if i is None or zlib.crc32(str(i).encode()) % 7 != 2:
+            before = None
+            for w in _tokens(t):
+                words[w] = words.get(w, 0) + 1
+                pairs[before, w] = pairs.get((before, w), 0) + 1
+                before = w
+    return words, pairs
+
+
+@pytest.mark.parametrize("head,bits", [(1 << 20, lm_scores.MOST_BITS), (4, lm_scores.MOST_BITS), (4, 60_000)])
+def test_model_scores_by_hand(spark, head, bits):
+    """All words known to each worker, or most of them joined; one broadcast of pairs, or several."""
     rows = odd_rows()
-    for head in (1 << 20, 4):  # all words known to each worker, or most of them joined
-        monkeypatch.setattr(lm_scores, "HEAD", head)
-        monkeypatch.setattr(lm_scores.train, "__defaults__", (lm_scores.MOST_BITS, head))
-        got = lm_scores.score(documents(spark)).collect()
-        toks = lambda t: [*(t or "").encode().lower().split(), None]
-        counts: dict = {}
-        for i, t in rows:
-            if i is None or zlib.crc32(str(i).encode()) % 7 != 2:
-                for w in toks(t):
-                    counts[w] = counts.get(w, 0) + 1
-        n, v = sum(counts.values()), len(counts)
-        want = sorted((str(i), len(toks(t)), sum(w in counts for w in toks(t)), n, round(sum(math.log10((counts.get(w, 0) + 1) / (n + v + 1)) for w in toks(t)), 6)) for i, t in rows)
-        assert want == sorted((str(r["doc_id"]), r["n_tokens"], r["n_known"], r["train_tokens"], round(r["base_score"], 6)) for r in got)
-        assert all(r["score"] < 0 for r in got)
+    got = lm_scores.score(documents(spark), bits, head).collect()
+    counts, _ = _trained_counts(rows)
+    n, v = sum(counts.values()), len(counts)
+    want = sorted((str(i), len(_tokens(t)), sum(w in counts for w in _tokens(t)), n, round(sum(math.log10((counts.get(w, 0) + 1) / (n + v + 1)) for w in _tokens(t)), 6)) for i, t in rows)
+    assert want == sorted((str(r["doc_id"]), r["n_tokens"], r["n_known"], r["train_tokens"], round(r["base_score"], 6)) for r in got)
+    assert all(r["score"] < 0 for r in got)
+    one = lm_scores.score(documents(spark)).collect()
+    if bits == lm_scores.MOST_BITS:  # else the least frequent words are left out of the filter
+        key = lambda r: (str(r["doc_id"]), round(r["score"], 6))
+        assert sorted(map(key, one)) == sorted(map(key, got))
     assert lm_scores.score(documents(spark, [])).count() == 0
 
 
+def test_shares_score_all_pairs(spark, monkeypatch):
+    """Pairs in three broadcasts score as in one."""
+    key = lambda r: (str(r["doc_id"]), round(r["score"], 6))
+    want = sorted(map(key, lm_scores.score(documents(spark)).collect()))
+    made = lm_scores.Trained.__init__
+
+    def in_three(self, *args):
+        made(self, *args)
+        self.shares = 3
+
+    monkeypatch.setattr(lm_scores.Trained, "__init__", in_three)
+    assert sorted(map(key, lm_scores.score(documents(spark)).collect())) == want
+
+
+def test_scores_by_an_exact_dictionary(spark):
+    """The filter's scores against the same mix of exact counts, read through levels; false positives and merged levels make the rest."""
+    rows = [(i, t) for i, t in odd_rows() if i is not None]
+    got = {}
+    for r in lm_scores.score(documents(spark, rows)).collect():
+        got[r["doc_id"]] = r["score"]
+    words, pairs = _trained_counts(rows)
+
+    def read(counts):
+        by: dict = {}
+        for n in counts.values():
+            by.setdefault(int(lm_scores.level(np.array([n]))[0]), []).append(n)
+        return {x: sum(by[int(lm_scores.level(np.array([n]))[0])]) / len(by[int(lm_scores.level(np.array([n]))[0])]) for x, n in counts.items()}
+
+    c1, c2 = read(words), read(pairs)
+    n, v = sum(words.values()), len(words)
+    assert sum(c1.values()) == pytest.approx(n)
+    for i, t in rows:
+        total, before = 0.0, None
+        for w in _tokens(t):
+            first = c1.get(before, 0.0)
+            weight = lm_scores.PAIR_WEIGHT * first / (first + lm_scores.PAIR_TRUST)
+            share = min(1.0, min(c2.get((before, w), 0.0), c1.get(w, 0.0)) / max(first, 1.0))
+            total += math.log10(weight * share + (1 - weight) * (c1.get(w, 0.0) + 1) / (n + v + 1))
+            before = w
+        assert got[i] == pytest.approx(total, rel=0.03, abs=0.05), i
+
+
 def test_filter_levels():
     keys = lm_scores.mixed(np.arange(1, 5001, dtype=np.uint64))
     counts = np.random.default_rng(1).integers(1, 5000, 5000)
     lv = lm_scores.level(counts)
-    bits = int(lv.sum() * lm_scores.BITS_A_LEVEL) // 8 * 8
-    f = lm_scores.Filter([lm_scores.Filter.block(keys, lv, bits)], bits)
+    data = np.zeros(int(lv.sum() * lm_scores.BITS_A_LEVEL) // 8 * 8, dtype=bool)
+    lm_scores.Filter.mark(data, keys, lv)
+    f = lm_scores.Filter(np.packbits(data, bitorder="little"), 1, len(data))
     got = f.levels(keys)
     assert (got >= lv).all() and (got == lv).mean() > 0.95
     assert (f.levels(lm_scores.mixed(np.arange(10**6, 10**6 + 5000, dtype=np.uint64))) == 0).mean() > 0.95
-    q = lm_scores.count_of(lm_scores.level(np.arange(1, 2000)))
-    assert np.abs(q / np.arange(1, 2000) - 1).max() < 0.5
+
+
+def test_levels_agree_in_spark(spark):
+    some = [*range(1, 3000), *(1 << x for x in range(12, 50))]
+    got = spark.createDataFrame([(n,) for n in some], "n long").select("n", lm_scores.level_of(F.col("n")).alias("lv")).collect()
+    assert all(r["lv"] == int(lm_scores.level(np.array([r["n"]]))[0]) for r in got)
 
 
 def test_held_out_text_is_likelier_than_by_the_base(spark):
