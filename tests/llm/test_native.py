@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import random
 import re
 
 from pyspark.sql import functions as F
@@ -94,9 +95,35 @@ def test_base_spans_by_python(spark):
 
 
 def test_entropy_finds_random_and_leaves_words(spark):
-    texts = ["key qZ8v1LmX0pRt5YwKc3Nd7Hs2Gf here", "an example_qZ8v1LmX0pRt5YwKc3Nd7 here", "aaaaaaaaaaaaaaaaaaaaaaa1aaaa", "internationalisationalities", "3f2504e0-4f89-11d3-9a0c-0305e82c3301"]
+    texts = ["key qZ8v1LmX0pRt5YwKc3Nd7Hs2Gf here", "an example_qZ8v1LmX0pRt here", "aaaaaaaaaaaaaaaaaaaaaaa1aaaa", "internationalisationalities", "3f2504e0-4f89-11d3-9a0c-0305e82c3301", "usr/local/share/python3/site-packages/numpy2", "build_number_2024_release_candidate_7"]
     rows = {r["doc_id"]: r["spans"] for r in secrets.scan(documents(spark, list(enumerate(texts)))).collect()}
-    assert rows[0] == "entropy:4:30" and not any(rows[i] for i in (1, 2, 3, 4))
+    assert rows[0] == "entropy:4:30" and not any(rows[i] for i in range(1, len(texts)))
+
+
+def test_long_random_strings_stay_found(spark):
+    """Separators, and marks inside a long key, do not clear it."""
+    rng = random.Random(7)
+    texts = ["".join(rng.choice(alphabet) for _ in range(n)) for alphabet in (secrets.ALPHABET[:62] + "+/", secrets.ALPHABET[:62] + "_-") for n in (88, 172, 344) for _ in range(40)]
+    texts += [t[:60] + mark + t[60:] for t in texts[:40] for mark in ("0000", "xxxx")]
+    rows = {r["doc_id"]: r["spans"] for r in secrets.scan(documents(spark, list(enumerate(texts)))).collect()}
+    assert all(rows[i] for i in range(len(texts)))
+
+
+def test_window_sums_by_counting(spark):
+    rng = random.Random(8)
+    texts = ["".join(rng.choice(secrets.ALPHABET[: rng.randint(1, 66)]) for _ in range(rng.randint(15, 90))) for _ in range(200)]
+    got = spark.createDataFrame([(t,) for t in texts], "t string").select("t", secrets.peak_sum(F.col("t")).alias("s")).collect()
+    for r in got:
+        windows = [r["t"][i : i + 20] for i in range(len(r["t"]) - 19)]
+        assert r["s"] == min((sum(secrets.N_LOG_N[w.count(c)] for c in set(w)) for w in windows), default=(1 << 31) - 1)
+
+
+def test_rest_of_a_token_round_a_base_span(spark):
+    token = "Zq8Lw3Xv0Bn5TrZ" + "0123456789abcdef" * 2 + "Kp7Ms2Yd4Jh9Gc6"
+    got = secrets.scan(documents(spark, [(1, f"a {token} b"), (2, "token=" + "qZ8v1LmX0pRt5YwKc3Nd7Hs2Gf")])).collect()
+    by = {r["doc_id"]: r for r in got}
+    assert by[1]["n_hex"] == 1 and by[1]["spans"] == "entropy:2:17,hex:17:49,entropy:49:64"
+    assert by[2]["spans"] == "assign:0:32"
 
 
 def test_masking(spark):

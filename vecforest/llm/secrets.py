@@ -21,21 +21,17 @@ ACCESS = "AKIA[A-Z0-9]{12,}"
 HEX = "[0-9a-f]{32,}"
 KINDS = ("assign", "access", "hex", "entropy")
 
-#: Candidate strings, the window, and bits of entropy a character that a window of a class must reach.
+#: Candidate strings and their characters, the window, and bits of entropy a character that a window of a class must reach.
+ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_-"
 CANDIDATE = "[A-Za-z0-9+/_-]{20,}"
 WINDOW = 20
-THRESHOLDS = {"hex": 3.0, "mixed": 3.7}
-#: Candidates that hold one of these are no secrets: identifiers in use as examples, runs of an alphabet, UUIDs, long paths.
-ALLOWED = "|".join(
-    (
-        "(EXAMPLE|example|sample|placeholder|xxxx|XXXX|0000)",
-        "(0123456789|abcdefghij|ABCDEFGHIJ)",
-        "^[0-9a-fA-F]{8}(-[0-9a-fA-F]{4}){3}-[0-9a-fA-F]{12}$",
-        "/[^/]*/[^/]*/",
-        "-[^-]*-[^-]*-[^-]*-",
-        "_[^_]*_[^_]*_[^_]*_",
-    )
-)
+CLASSES = (("hex", "^([0-9a-f]+|[0-9A-F]+)$", 3.0), ("one_case", "^([0-9a-z+/_-]+|[0-9A-Z+/_-]+)$", 3.6), ("mixed", "", 3.7))
+#: Whole candidates of these shapes are no secrets: UUIDs, and paths or names of words and numbers between separators.
+_SEGMENT = "([A-Za-z][a-z]{0,14}[0-9]{0,4}|[A-Z]{2,15}[0-9]{0,4}|[0-9]{1,8})"
+ALLOWED = "|".join(("^[0-9a-fA-F]{8}(-[0-9a-fA-F]{4}){3}-[0-9a-fA-F]{12}$", f"^[/_+-]*{_SEGMENT}([/_+-]+{_SEGMENT})+[/_+-]*$"))
+#: Windows that touch one of these are not looked at: marks of examples, filling, runs of an alphabet.
+MARKS = "EXAMPLE|example|sample|placeholder|xxxx|XXXX|0000|0123456789|abcdefghij|ABCDEFGHIJ"
+COUNTS_A_LONG, BITS_A_COUNT = 12, 5  # a count of up to WINDOW takes 5 bits
 SCALE = 1_000_000
 
 
@@ -68,36 +64,60 @@ def _placed(kind: str, pieces: Column, found: Column, kept: Column) -> Column:
 
 
 def peak_sum(text: Column, window: int = WINDOW) -> Column:
-    """Least sum of n log n over the windows of a text of `window` characters or more.
+    """Least sum of n log n over the windows of a text of ALPHABET; the largest integer if it is shorter than a window.
 
-    A window moves by one character: the count of the one that comes in and of
-    the one that goes out change by one, and the sum by two table differences.
+    The state carries the count of each character in the window, packed in
+    longs. A window moves by one character: the count of the one that comes in
+    and of the one that goes out change by one, and the sum by two table
+    differences each.
     """
     logs = F.array(*[F.lit(x) for x in N_LOG_N])
-
-    def of(run: Column, c: Column) -> Column:
-        return F.length(run) - F.length(F.replace(run, c, F.lit("")))
-
-    def step(acc: Column, i: Column) -> Column:
-        come = F.substr(text, i, F.lit(1))
-        run = F.substr(text, F.greatest(i - window, F.lit(1)), F.least(i - 1, F.lit(window)))
-        before = of(run, come)
+    slots = -(-len(ALPHABET) // COUNTS_A_LONG)
+    slot = lambda code: F.floor((code - 1) / COUNTS_A_LONG).cast("int")
+    shift = lambda code: (F.lit(BITS_A_COUNT) * ((code - 1) % COUNTS_A_LONG)).cast("int")
+    unit = lambda code: F.call_function("shiftleft", F.lit(1).cast("long"), shift(code))
+    count = lambda counts, code: F.call_function("shiftright", F.get(counts, slot(code)), shift(code)).bitwiseAND((1 << BITS_A_COUNT) - 1).cast("int")
+    codes = F.transform(F.split(text, ""), lambda c: F.instr(F.lit(ALPHABET), c))
+    zeros = F.array_repeat(F.lit(0), window)
+    moves = F.element_at(F.transform(F.array(codes), lambda cs: F.zip_with(cs, F.concat(zeros, F.slice(cs, F.lit(1), F.greatest(F.size(cs) - window, F.lit(0)))), lambda a, b: F.struct(a.alias("come"), b.alias("gone")))), 1)
+
+    def step(acc: Column, m: Column) -> Column:
+        come, gone = m["come"], m["gone"]
+        before = count(acc["counts"], come)
         total = acc["total"] + F.get(logs, before + 1) - F.get(logs, before)
-        gone = F.substr(text, i - window, F.lit(1))
-        held = of(run, gone) + F.when(gone == come, 1).otherwise(0)
-        moved = F.when(i > window, total - F.get(logs, held) + F.get(logs, held - 1)).otherwise(total)
-        return F.struct(moved.alias("total"), F.when(i >= window, F.least(acc["best"], moved)).otherwise(acc["best"]).alias("best"))
+        held = count(acc["counts"], gone) + F.when(gone == come, 1).otherwise(0)
+        full = gone > 0
+        moved = F.when(full, total - F.get(logs, held) + F.get(logs, held - 1)).otherwise(total)
+        counts = F.transform(acc["counts"], lambda x, i: x + F.when(i == slot(come), unit(come)).otherwise(0) - F.when(full & (i == slot(gone)), unit(gone)).otherwise(0))
+        n = acc["n"] + 1
+        return F.struct(counts.alias("counts"), moved.alias("total"), n.alias("n"), F.when(n >= window, F.least(acc["best"], moved)).otherwise(acc["best"]).alias("best"))
 
-    start = F.struct(F.lit(0).alias("total"), F.lit(1 << 30).alias("best"))
-    return F.aggregate(F.sequence(F.lit(1), F.length(text)), start, step, lambda acc: acc["best"])
+    start = F.struct(F.array_repeat(F.lit(0).cast("long"), slots).alias("counts"), F.lit(0).alias("total"), F.lit(0).alias("n"), F.lit((1 << 31) - 1).alias("best"))
+    return F.aggregate(moves, start, step, lambda acc: acc["best"])
 
 
 def suspicious(text: Column) -> Column:
-    """Whether a candidate string looks random: digits and letters, not allowed, a window with enough entropy for its class."""
-    is_hex = text.rlike("^[0-9a-fA-F]+$")
-    most = F.when(is_hex, most_for(THRESHOLDS["hex"])).otherwise(most_for(THRESHOLDS["mixed"]))
+    """Whether a candidate string looks random: digits and letters, of no allowed shape, a window off the marks with enough entropy for its class."""
+    most = F.lit(most_for(CLASSES[-1][2]))
+    for _, shape, threshold in reversed(CLASSES[:-1]):
+        most = F.when(text.rlike(shape), most_for(threshold)).otherwise(most)
+    parts = F.filter(F.split(text, MARKS), lambda x: F.length(x) >= WINDOW)
     shaped = text.rlike("[0-9]") & text.rlike("[A-Za-z]") & ~text.rlike(ALLOWED)
-    return F.when(shaped, peak_sum(text) <= most).otherwise(False)
+    return F.when(shaped, F.exists(parts, lambda x: peak_sum(x) <= most)).otherwise(False)
+
+
+def outside(span: Column, spans: str) -> Column:
+    """The parts of a span that none of the spans (sorted by start) covers."""
+    part = lambda a, b: F.array(F.struct(a.alias("start"), span["rank"].alias("rank"), b.alias("end")))
+    none = F.array().cast("array<struct<start:int,rank:int,end:int>>")
+    state = F.struct(span["start"].alias("at"), none.alias("out"))
+
+    def step(acc: Column, b: Column) -> Column:
+        meets = (b["start"] < span["end"]) & (b["end"] > acc["at"])
+        more = F.when(meets & (b["start"] > acc["at"]), F.concat(acc["out"], part(acc["at"], b["start"]))).otherwise(acc["out"])
+        return F.struct(F.when(meets, b["end"]).otherwise(acc["at"]).alias("at"), more.alias("out"))
+
+    return F.aggregate(spans, state, step, lambda acc: F.when(acc["at"] < span["end"], F.concat(acc["out"], part(acc["at"], span["end"]))).otherwise(acc["out"]))
 
 
 def with_spans(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -119,7 +139,7 @@ def with_spans(docs: DataFrame, text: str = "text") -> DataFrame:
     hexes = of("hex", HEX, t.rlike(HEX), everyone)
     random = of("entropy", CANDIDATE, t.rlike(CANDIDATE), lambda found: F.transform(found, suspicious))
     out = docs.withColumn("__base", F.array_sort(F.concat(assigns, access, hexes))).withColumn("__random", random)
-    new = F.filter("__random", lambda r: ~F.exists("__base", lambda b: (b["start"] < r["end"]) & (r["start"] < b["end"])))
+    new = F.flatten(F.transform("__random", lambda r: outside(r, "__base")))
     return out.withColumn("__spans", F.when(F.size("__random") == 0, F.col("__base")).otherwise(F.array_sort(F.concat("__base", new)))).drop("__random")
 
 
@@ -133,8 +153,8 @@ def scan(docs: DataFrame) -> DataFrame:
     """One row per document: doc_id, n_assign, n_access, n_hex, base_sha256, spans.
 
     Null and empty texts give zeros and ''. Equal rows each give a row; other
-    columns are ignored. The method adds spans of kind entropy where no base
-    span overlaps them.
+    columns are ignored. The method adds spans of kind entropy: candidates that
+    look random, but for their parts in base spans.
     """
     found = with_spans(docs.select("doc_id", "text"))
     count = lambda kind: F.size(F.filter("__base", lambda s: s["rank"] == KINDS.index(kind))).cast("long")
@@ -174,21 +194,25 @@ def _placed_sql(kind: str, pattern: str, keep: str = "true") -> str:
 {kind}_k AS (SELECT doc_id, {KINDS.index(kind)} AS k, '{kind}' AS n, CAST(s AS BIGINT) AS s, CAST(e AS BIGINT) AS e FROM {kind}_s WHERE {keep})"""
 
 
+_MOST_SQL = "CASE " + " ".join(f"WHEN regexp_matches(g, '{shape}') THEN {most_for(threshold)}" for _, shape, threshold in CLASSES[:-1]) + f" ELSE {most_for(CLASSES[-1][2])} END"
+
 OP7_SQL = rf"""
 WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
 {_placed_sql("assign", ASSIGN, "length(g) >= 8")},
 {_placed_sql("access", ACCESS)},
 {_placed_sql("hex", HEX)},
 cand AS (SELECT DISTINCT unnest(regexp_extract_all(t, '{CANDIDATE}')) AS g FROM d WHERE regexp_matches(t, '{CANDIDATE}')),
-shaped AS (SELECT g, CASE WHEN regexp_full_match(g, '[0-9a-fA-F]+') THEN {most_for(THRESHOLDS["hex"])} ELSE {most_for(THRESHOLDS["mixed"])} END AS most
-  FROM cand WHERE regexp_matches(g, '[0-9]') AND regexp_matches(g, '[A-Za-z]') AND NOT regexp_matches(g, '{ALLOWED}')),
-win AS (SELECT g, most, p, substr(g, p, {WINDOW}) AS w FROM (SELECT g, most, unnest(range(1, length(g) - {WINDOW} + 2)) AS p FROM shaped)),
-ch AS (SELECT g, most, p, c, count(*) AS n FROM (SELECT g, most, p, unnest(string_split(w, '')) AS c FROM win) GROUP BY ALL),
-sums AS (SELECT g, most, p, sum(list_extract([{", ".join(map(str, N_LOG_N))}], CAST(n AS INTEGER) + 1)) AS total FROM ch GROUP BY ALL),
+shaped AS (SELECT g, part, {_MOST_SQL} AS most FROM (SELECT g, unnest(string_split_regex(g, '{MARKS}')) AS part FROM cand WHERE regexp_matches(g, '[0-9]') AND regexp_matches(g, '[A-Za-z]') AND NOT regexp_matches(g, '{ALLOWED}'))),
+win AS (SELECT DISTINCT g, most, part, p, substr(part, p, {WINDOW}) AS w FROM (SELECT g, most, part, unnest(range(1, length(part) - {WINDOW} + 2)) AS p FROM shaped WHERE length(part) >= {WINDOW})),
+ch AS (SELECT g, most, part, p, c, count(*) AS n FROM (SELECT g, most, part, p, unnest(string_split(w, '')) AS c FROM win) GROUP BY ALL),
+sums AS (SELECT g, most, part, p, sum(list_extract([{", ".join(map(str, N_LOG_N))}], CAST(n AS INTEGER) + 1)) AS total FROM ch GROUP BY ALL),
 rnd AS (SELECT DISTINCT g FROM sums WHERE total <= most),
 {_placed_sql("entropy", CANDIDATE, "g IN (SELECT g FROM rnd)")},
 base AS (SELECT * FROM assign_k UNION ALL SELECT * FROM access_k UNION ALL SELECT * FROM hex_k),
-every AS (SELECT * FROM base UNION ALL SELECT * FROM entropy_k r WHERE NOT EXISTS (SELECT 1 FROM base b WHERE b.doc_id = r.doc_id AND b.s < r.e AND r.s < b.e)),
+meets AS (SELECT r.doc_id, r.s AS rs, r.e AS re, b.s AS bs, b.e AS be FROM entropy_k r LEFT JOIN base b ON b.doc_id = r.doc_id AND b.s < r.e AND r.s < b.e),
+gaps AS (SELECT doc_id, greatest(rs, coalesce(max(be) OVER (PARTITION BY doc_id, rs ORDER BY bs, be ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), rs)) AS s, bs AS e FROM meets WHERE bs IS NOT NULL
+  UNION ALL SELECT doc_id, greatest(rs, coalesce(max(be), rs)) AS s, re AS e FROM meets GROUP BY doc_id, rs, re),
+every AS (SELECT * FROM base UNION ALL SELECT doc_id, 3 AS k, 'entropy' AS n, s, e FROM gaps WHERE s < e),
 b AS (SELECT doc_id, count(*) FILTER (k = 0) AS a0, count(*) FILTER (k = 1) AS a1, count(*) FILTER (k = 2) AS a2, string_agg(n || ':' || s || ':' || e, ',' ORDER BY s, k, e) AS j FROM base GROUP BY doc_id),
 v AS (SELECT doc_id, string_agg(n || ':' || s || ':' || e, ',' ORDER BY s, k, e) AS j FROM every GROUP BY doc_id)
 SELECT d.doc_id, coalesce(a0, 0) AS n_assign, coalesce(a1, 0) AS n_access, coalesce(a2, 0) AS n_hex, sha256(coalesce(b.j, '')) AS base_sha256, coalesce(v.j, '') AS spans
