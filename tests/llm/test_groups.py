@@ -7,6 +7,7 @@ from collections import defaultdict
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from vecforest.llm import components, jaccard, packing, passages
@@ -45,10 +46,39 @@ def test_packing_round_trip(spark):
 def test_open_bins():
     b = packing.OpenBins(10, 2)
     assert [b.place(n) for n in (6, 7, 3, 4, 9, 1)] == [(0, 0), (1, 0), (1, 7), (0, 6), (2, 0), (2, 9)]
+    b = packing.OpenBins(10, 2)
+    assert [b.place(n) for n in (5, 7, 8, 3, 2)] == [(0, 0), (1, 0), (2, 0), (0, 5), (0, 8)]  # the third piece closes the fuller one of two
     b = packing.OpenBins(10, 1)
     assert [b.place(n) for n in (6, 7, 4)] == [(0, 0), (1, 0), (2, 0)]
 
 
+def test_packing_is_best_fit_in_order(spark, monkeypatch):
+    """Streams against a plain list of open bins, in the order of the hash."""
+    rows = [(i, sentence(i, 20 + 13 * i % 90)) for i in range(300)]
+    monkeypatch.setattr(packing, "DOCS_A_STREAM", 100)
+    mix = F.xxhash64(F.col("doc_id"), "piece", "ids_crc32")
+    got = packing.pack(documents(spark, rows), length=256, open_bins=5).withColumn("mix", mix).withColumn("part", F.shiftright("sequence_id", 40)).collect()
+    parts = {r["part"] for r in got}
+    assert len(parts) == 4
+    for p in parts:
+        bins, made, want = {}, 0, []
+        for r in sorted((r for r in got if r["part"] == p), key=lambda r: r["mix"]):
+            fits = sorted((free, -b) for b, free in bins.items() if free >= r["length"])
+            if fits:
+                at = -fits[0][1]
+            else:
+                if len(bins) == 5:
+                    del bins[max(b for b, free in bins.items() if free == min(bins.values()))]
+                at, made = made, made + 1
+                bins[at] = 256
+            want.append((r["doc_id"], 256 - bins[at]))
+            bins[at] -= r["length"]
+            if not bins[at]:
+                del bins[at]
+        assert made == len({r["sequence_id"] for r in got if r["part"] == p})
+        assert sum(x[1] == 0 for x in want) == made
+
+
 @pytest.mark.parametrize("text", ["", " ", "a" * 5000, "<|endoftext|> x", "é" * 3000, "\n" * 3000, "hi  there   \n\n x", "日本語 😀😀", "don't I'll 12345 6789 \t x"])
 def test_encoder_equals_the_library(text):
     e = packing.Encoder(packing.byte_bpe_path())
