@@ -169,6 +169,76 @@ def test_languages(spark, sf):
     assert all(r["rejected"] for r in language.of_pages(wrong, docs.where("false")).collect())
 
 
+SCRIPTS = {
+    "ru": "река текла под старым каменным мостом а люди смотрели как лодки везут яблоки зерно и соль из одного города в другой",
+    "uk": "річка текла під старим камʼяним мостом а люди дивились як човни везуть яблука зерно та сіль з одного міста до іншого",
+    "zh": "河水在古老的石桥下流过人们看着船只把苹果粮食和盐从一个城镇运到另一个城镇直到冬天来临",
+    "el": "το ποτάμι κυλούσε κάτω από παλιές πέτρινες γέφυρες ενώ οι άνθρωποι κοιτούσαν τις βάρκες να κουβαλούν μήλα",
+    "en": "the river ran under old stone bridges while people watched boats carry apples grain and salt from one town to another",
+}
+
+
+def test_other_scripts_stay_and_are_told_apart(spark):
+    rows = []
+    for k, (name, text) in enumerate(SCRIPTS.items()):
+        words = text.split() if name != "zh" else [text[i : i + 4] for i in range(0, len(text), 4)]
+        for i in range(12):
+            rows.append((100 * k + i, " ".join(words[i % 5 :] + words[: i % 5]), name, "site", 1))
+    rows.append((900, "1234 5678 --- !!!", "en", "site", 1))
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    kept = {r["doc_id"] for r in language.keep_known_languages(spark, docs, "").collect()}
+    assert kept == {r[0] for r in rows if r[0] != 900}
+    names, logs = language.train(docs)
+    asked = docs.select(F.col("doc_id").alias("id"), "text", *[F.lit(None).cast("string").alias(c) for c in ("declared", "suffix", "host")])
+    got = {r["id"]: r["lang"] for r in language.identify(asked, names, logs).collect()}
+    assert all(got[r[0]] == r[2] for r in rows if r[0] != 900)
+
+
+def test_more_languages_than_the_model_holds(spark, monkeypatch):
+    monkeypatch.setattr(language, "MOST_LANGUAGES", 2)
+    docs = spark.createDataFrame([(1, "the river ran", "en"), (2, "the town", "en"), (3, "der Fluss", "de"), (4, "das Tal", "de"), (5, "le fleuve", "fr")], "doc_id long, text string, lang string")
+    assert language.train(docs)[0] == ["de", "en"]
+
+
+def test_fusion_by_hand(spark):
+    """The posterior of one page against the product of its parts."""
+    docs = spark.createDataFrame([("the river ran under the bridge and the town", "en"), ("der fluss lief unter der alten steinernen stadt", "de")], "text string, lang string")
+    names, logs = language.train(docs)
+    text = "the river and the town"
+    three, two = language.trigrams(text, language.letter_table())
+    by_hand = {}
+    for j, name in enumerate(names):
+        counts: dict = {}
+        pairs: dict = {}
+        source = docs.where(F.col("lang") == name).first()["text"]
+        for h, g in zip(*language.trigrams(source, language.letter_table()), strict=True):
+            counts[h] = counts.get(h, 0) + 1
+            pairs[g] = pairs.get(g, 0) + 1
+        total = sum(math.log((counts.get(h, 0) + language.TRUST / language.CHANCE) / (pairs.get(g, 0) + language.TRUST)) for h, g in zip(three, two, strict=True))
+        by_hand[name] = total / len(three) * min(len(three), language.TELLING)
+        assert float((logs[0, three, j] - logs[1, two, j]).sum()) == pytest.approx(total, rel=1e-3)
+    rows = spark.createDataFrame([(1, text, None, None, None)], "id long, text string, declared string, suffix string, host string")
+    got = language.identify(rows, names, logs).first()
+    # one row: the whole table's prior is its own posterior, smoothed
+    top = max(by_hand.values())
+    post = {n: math.exp(x - top) for n, x in by_hand.items()}
+    post = {n: x / sum(post.values()) for n, x in post.items()}
+    prior = {n: (x + language.FEW) / (1 + 2 * language.FEW) for n, x in post.items()}
+    fused = {n: post[n] * prior[n] for n in names}
+    assert got["lang"] == "en" and got["probability"] == pytest.approx(fused["en"] / sum(fused.values()), abs=1e-3)
+
+
+def test_odd_pages(spark):
+    """Equal rows, very long pages, clashing columns, nulls."""
+    docs = spark.createDataFrame([("the river ran under the bridge and the town", "en"), ("der fluss lief unter der alten stadt", "de")], "text string, lang string")
+    long = "<html lang='en'>" + "<p>the river ran under the bridge</p>" * 20_000
+    rows = [(1, "http://a.com/", "<p>the river ran</p>"), (1, "http://a.com/", "<p>the river ran</p>"), (None, None, None), (2, "http://b.de/x", long), (3, "::not a url", "")]
+    pages = spark.createDataFrame([(*r, "en", 1.0, "x") for r in rows], "page_id long, url string, html string, lang string, probability double, host string")
+    got = language.of_pages(pages, docs).collect()
+    assert len(got) == 5 and sum(r["page_id"] == 1 for r in got) == 2 and {r["lang"] for r in got if r["page_id"] in (1, 2)} == {"en"}
+    assert all(r["rejected"] for r in got if r["page_id"] in (None, 3))
+
+
 def test_language_stage_keeps_what_has_letters(spark):
     docs = documents(spark)
     kept = language.keep_known_languages(spark, docs, "")

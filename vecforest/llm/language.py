@@ -1,6 +1,6 @@
 """Language identification by Bayesian fusion of evidence.
 
-A character trigram model per language gives the likelihood of a text. Grouped
+A model of hashed letter trigrams per language, of any script, gives the likelihood of a text. Grouped
 aggregation of what the texts say gives the likelihood of a declared language
 and of an address suffix, and a prior by host that falls back on its domain,
 its top-level domain and the whole table. The posterior is their product.
@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import math
 import re
+import unicodedata
 from collections.abc import Iterator
 
 import numpy as np
@@ -18,9 +19,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import staged, table
-from .toxicity import BASE, character_costs, code_table
 
-MOST_LANGUAGES = 256
+SLOTS = 1 << 16  # of hashed trigrams and of hashed pairs; a language takes 256 KiB in the model
+MOST_LANGUAGES = 1024  # that bound the model; labels with fewer rows than the first so many are no languages of the model
+TRUST, CHANCE = 5.0, 60.0  # an unseen trigram counts as TRUST of its pair over CHANCE letters
+AT_ONCE = 1 << 14  # trigrams of a text that are looked up together
 TELLING = 100.0  # letters after which more of the same text says nothing new
 BACK_OFF = 10.0  # pages that a wider prior counts as
 FEW = 0.5
@@ -34,39 +37,71 @@ def visible(html: str) -> str:
     return _ENTITY.sub(" ", _DROP.sub(" ", html))
 
 
-def trigrams(text: str, codes: np.ndarray) -> np.ndarray:
-    """Numbers of the letter trigrams of a text whose last or middle place is a letter."""
-    x = codes[np.frombuffer(f"  {text} ".encode("utf-16-le", "surrogatepass"), dtype=np.uint16)]
-    at = (x[:-2] * BASE + x[1:-1]) * BASE + x[2:]
-    return at[(x[1:-1] > 0) | (x[2:] > 0)]
+def letter_table() -> np.ndarray:
+    """The lower-case code of each UTF-16 unit that is a letter or a mark of some script; 0 for all else."""
+    out = np.zeros(0x10000, dtype=np.uint32)
+    for code in range(0x10000):
+        c = chr(code)
+        if unicodedata.category(c)[0] in "LM":
+            low = c.lower()
+            out[code] = ord(low) if len(low) == 1 else code
+    return out
+
+
+def trigrams(text: str, letters: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Slots of the letter trigrams of a text whose last or middle place is a letter, and of the pairs that they begin with."""
+    x = letters[np.frombuffer(f"  {text} ".encode("utf-16-le", "surrogatepass"), dtype=np.uint16)]
+    a, b, c = x[:-2], x[1:-1], x[2:]
+    ok = (b > 0) | (c > 0)
+    pair = a[ok] * np.uint32(0x9E3779B1) + b[ok] * np.uint32(0x85EBCA77)
+    three = (pair ^ (pair >> np.uint32(15))) * np.uint32(0xC2B2AE3D) + c[ok] * np.uint32(0x27D4EB2F)
+    slot = lambda h: ((h ^ (h >> np.uint32(13))) * np.uint32(0x165667B1)) >> np.uint32(16)
+    return slot(three).astype(np.int64), slot(pair).astype(np.int64)
 
 
 def train(docs: DataFrame, lang: str = "lang") -> tuple[list[str], np.ndarray]:
-    """Languages, and a table of ln P(third | first two letters) by trigram and language; from all rows with a language."""
+    """Languages, and tables (2 x SLOTS x language) of ln(count + smoothing) of trigrams and of pairs; from all rows with a language.
+
+    ln P(third | first two letters) is the difference of the two entries. Each
+    task adds its rows up in tables of fixed size before they move.
+    """
 
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        codes, totals = code_table(), {}
+        letters, totals = letter_table(), {}
         for batch in batches:
             for name, part in batch.groupby("lang"):
-                total = totals.setdefault(name, np.zeros(BASE**3, dtype=np.int64))
+                total = totals.setdefault(name, np.zeros(2 * SLOTS, dtype=np.int64))
                 for start in range(0, len(part), 256):
-                    total += np.bincount(trigrams("  ".join(part["text"].iloc[start : start + 256]), codes), minlength=BASE**3)
+                    three, two = trigrams("  ".join(part["text"].iloc[start : start + 256]), letters)
+                    total[:SLOTS] += np.bincount(three, minlength=SLOTS)
+                    total[SLOTS:] += np.bincount(two, minlength=SLOTS)
+            if len(totals) > 64:  # tables of that many languages leave the task
+                yield from rows_of(totals)
+                totals = {}
+        yield from rows_of(totals)
+
+    def rows_of(totals: dict[str, np.ndarray]) -> Iterator[pd.DataFrame]:
         for name, total in totals.items():
             some = np.flatnonzero(total)
             yield pd.DataFrame({"lang": name, "at": some, "n": total[some]})
 
+    def packed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for name, part in batch.groupby("lang"):
+                yield pd.DataFrame({"lang": [name], "at": [part["at"].to_numpy(dtype=np.int64).tobytes()], "n": [part["n"].to_numpy(dtype=np.int64).tobytes()]})
+
     rows = docs.select(F.col(lang).cast("string").alias("lang"), F.coalesce("text", F.lit("")).alias("text")).where("lang is not null")
-    got = rows.mapInPandas(count, "lang string, at long, n long").groupBy("lang", "at").agg(F.sum("n").alias("n")).toPandas()
-    names = sorted(got["lang"].unique())
-    if len(names) > MOST_LANGUAGES:
-        raise ValueError(f"{len(names)} languages; a model holds {MOST_LANGUAGES}")
-    out = np.zeros((BASE**3, len(names)), dtype=np.float32)
-    for j, name in enumerate(names):
-        counts = np.zeros(BASE**3)
-        part = got[got["lang"] == name]
-        counts[part["at"].to_numpy(dtype=int)] = part["n"]
-        out[:, j] = -character_costs(counts.reshape(BASE, BASE, BASE)).reshape(-1)
-    return names, out
+    names = sorted(r["lang"] for r in rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(MOST_LANGUAGES).collect())
+    some = rows.mapInPandas(count, "lang string, at long, n long").groupBy("lang", "at").agg(F.sum("n").alias("n"))
+    out = np.zeros((2, SLOTS, len(names)), dtype=np.float32)
+    place = {name: j for j, name in enumerate(names)}
+    for r in some.mapInPandas(packed, "lang string, at binary, n binary").toLocalIterator():
+        if r["lang"] in place:
+            at = np.frombuffer(bytes(r["at"]), dtype=np.int64)
+            out[at // SLOTS, at % SLOTS, place[r["lang"]]] = np.frombuffer(bytes(r["n"]), dtype=np.int64)
+    out[0] += TRUST / CHANCE
+    out[1] += TRUST
+    return names, np.log(out, out=out)
 
 
 def domain_of(host: Column) -> Column:
@@ -81,23 +116,26 @@ def top_of(host: Column) -> Column:
 def identify(rows: DataFrame, names: list[str], table_: np.ndarray, html: bool = False) -> DataFrame:
     """Fuses the evidence of rows (id, text, declared, suffix, host): id, lang, probability, text_lang, n_letters, rejected.
 
-    Null text, declared, suffix or host is no evidence. rejected: no letters,
-    letters less likely than by chance under each language, or no language with
+    Null text, declared, suffix or host is no evidence. Letters are those of any
+    script. rejected: no letters, letters less likely than by chance under each language, or no language with
     probability 0.5. Without languages all rows are rejected and lang is null.
     """
     many = len(names)
     if not many:
         return rows.select("id", F.lit(None).cast("string").alias("lang"), F.lit(0.0).alias("probability"), F.lit(None).cast("string").alias("text_lang"), F.lit(0).cast("long").alias("n_letters"), F.lit(True).alias("rejected"))
-    shared = rows.sparkSession.sparkContext.broadcast(table_)  # BASE^3 by MOST_LANGUAGES at most
+    shared = rows.sparkSession.sparkContext.broadcast(table_)  # 2 x SLOTS x MOST_LANGUAGES at most
 
     def likelihoods(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        codes, logs = code_table(), shared.value
+        letters, logs = letter_table(), shared.value
         for batch in batches:
             sizes, means = [], []
             for text in batch:
-                at = trigrams(visible(text) if html else text, codes)
-                sizes.append(len(at))
-                means.append(logs[at].mean(0, dtype=np.float64).tolist() if len(at) else [0.0] * many)
+                three, two = trigrams(visible(text) if html else text, letters)
+                total = np.zeros(many)
+                for at in range(0, len(three), AT_ONCE):
+                    total += (logs[0, three[at : at + AT_ONCE]] - logs[1, two[at : at + AT_ONCE]]).sum(0, dtype=np.float64)
+                sizes.append(len(three))
+                means.append((total / max(len(three), 1)).tolist())
             yield pd.DataFrame({"n": np.array(sizes, dtype=np.int64), "mean": means})
 
     of = F.pandas_udf(likelihoods, "n long, mean array<double>")
@@ -140,7 +178,7 @@ def identify(rows: DataFrame, names: list[str], table_: np.ndarray, html: bool =
     fused = fused.withColumn("logs", logs).withColumn("fused", _normal(F.col("logs")))
     labels = F.array(*[F.lit(x) for x in names])
     best = F.array_max("fused")
-    chance = F.array_max("ll") < F.least(F.col("n").cast("double"), F.lit(TELLING)) * -math.log(BASE)
+    chance = F.array_max("ll") < F.least(F.col("n").cast("double"), F.lit(TELLING)) * -math.log(CHANCE)
     return fused.select(
         "id",
         F.get(labels, F.array_position("fused", best).cast("int") - 1).alias("lang"),
@@ -186,8 +224,10 @@ def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: documents whose language is identified; lang is the declared language and source the host.
 
-    The model comes from the stage's own input. Rows go if their text has no
-    letters or is in no language of the input.
+    The model comes from the stage's own input. Rows go if their text is null or
+    has no letters, or is in no language of the input; letters of all scripts
+    count. Rows are judged by their own text, whatever their ids; equal rows
+    stay or go together.
     """
     names, logs = train(docs)
     rows = docs.select(F.struct(*[F.col(c) for c in docs.columns]).alias("row")).select(
