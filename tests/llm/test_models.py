@@ -54,12 +54,42 @@ def test_scores_of_odd_rows(spark, op, label):
 def test_restoring(spark, sf):
     costs = toxicity.character_costs(toxicity.trigram_counts(table(spark, "/root/testdata/sf0.01", "documents").select("text")))
     r = toxicity.Restorer(costs)
-    for odd, plain in (("1d10t", "idiot"), ("i d i o t", "idiot"), ("i.d.i.o.t", "idiot"), ("stuuuupid", "stupid"), ("tr@sh", "trash"), ("l0ser!", "loser!"), ("m0r0n", "moron")):
-        assert plain in r.text(f"you {odd} now"), odd
+    for odd, plain in (("1d10t", "idiot"), ("i d i o t", "idiot"), ("i.d.i.o.t", "idiot"), ("stuuuupid", "stupid"), ("tr@sh", "trash"), ("l0ser!", "loser!"), ("m0r0n", "moron"), ("idi07", "idiot"), ("m0r0n!!", "moron!!"),
+                       ("i.d.i.o.t,", "idiot,"), ("i.d.i.o.t.", "idiot"), ("i--d--i--o--t", "idiot"), ("i d i o t.", "idiot."), ('"5tupid"', '"stupid"'), ('"i d i o t"', '"idiot"')):
+        assert plain in r.text(f"you {odd} now"), (odd, r.text(f"you {odd} now"))
+    assert r.text("we paid 1200 for 3 of 45.") == "we paid 1200 for 3 of 45."
     assert r.text("A clean text, with 3 apples.") == "a clean text, with 3 apples."
     assert len(r.text("a" * 50_000)) <= 50_000
 
 
+def test_decoding_by_all_paths():
+    """Viterbi against every path through the lattice."""
+    rng = np.random.default_rng(3)
+    costs = rng.random((toxicity.BASE,) * 3) * 6
+    r = toxicity.Restorer(costs)
+
+    def every(word, gapped):
+        paths = [(0.0, "", (0, 0))]
+        for i, c in enumerate(word):
+            options = [(x, toxicity.SWAP) for x in toxicity.STANDS_FOR.get(c, "")] + [(c, toxicity.KEEP_SIGN if c in toxicity.STANDS_FOR else 0.0)]
+            if gapped and c in toxicity.GAPS:
+                options = [("", toxicity.DROP_GAP), (c, toxicity.KEEP_SIGN)]
+            elif i and c == word[i - 1]:
+                three = word[max(0, i - 2) : i] == c + c or word[i - 1 : i + 2] == c * 3
+                options.append(("", toxicity.DROP_REPEAT if three else toxicity.DROP_ONE))
+            new = []
+            for cost, made, (a, b) in paths:
+                for x, extra in options:
+                    code = toxicity.CODE.get(x, 0)
+                    new.append((cost + extra + costs[a, b, code], made + x, (b, code)) if x else (cost + extra, made, (a, b)))
+            paths = new
+        return min(cost + costs[a, b, 0] for cost, _, (a, b) in paths), {made: min(cost + costs[s][0] for cost, m, s in paths if m == made) for _, made, _ in paths}
+
+    for word, gapped in (("1d10t", False), ("stuuupid", False), ("i.d.1.o.t", True), ("a$$h0le", False), ("b44d", False), ("l||!", False), ("i d i o t", True)):
+        least, by = every(word, gapped)
+        assert by[r.decode(word, gapped)] == pytest.approx(least), word
+
+
 def _tokens(text):
     return [*(text or "").encode().lower().split(), None]
 

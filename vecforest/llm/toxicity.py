@@ -35,12 +35,12 @@ BASE = len(LETTERS) + 1
 
 _SIGNS = "".join(re.escape(c) for c in STANDS_FOR)
 _ONE = r"[^\W\d_]"
-#: What makes a word odd: a sign between letters or before the first, or a letter three times in a row.
-ODD = re.compile(rf"{_ONE}[{_SIGNS}]+(?={_ONE})|^[{_SIGNS}]+(?={_ONE})|({_ONE})\1\1")
-#: A word of single characters with a gap sign between each two.
-GAPPED = re.compile(rf"[\w{_SIGNS}](?:[._*-][\w{_SIGNS}]){{2,}}")
-WORD = re.compile(rf"[^\W\d_]*(?:[^\W\d_][{_SIGNS}]+(?=[^\W\d_])|(?<![^\s])[{_SIGNS}]+(?=[^\W\d_])|([^\W\d_])\1\1)[\w{_SIGNS}]*")
-SPACED = re.compile(rf"(?<![^\s])[\w{_SIGNS}](?:[ ._*-][\w{_SIGNS}]){{2,}}(?![\w{_SIGNS}])")
+#: What makes a word odd: a sign beside a letter, or a letter three times in a row.
+ODD = re.compile(rf"{_ONE}[{_SIGNS}]|[{_SIGNS}]{_ONE}|({_ONE})\1\1")
+#: A word of single characters with gap signs between each two.
+GAPS = " ._*-"
+GAPPED = re.compile(rf"[\w{_SIGNS}](?:[._*-]+[\w{_SIGNS}]){{2,}}")
+OPENING, CLOSING = "\"'([{<", "!.,;:?\"')]}>"
 WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -87,19 +87,23 @@ class Restorer:
         self.costs = costs.tolist()
 
     def tokens(self, text: str) -> list[str]:
-        """Words of the text in lower case; three or more single characters in a row are one word, with blanks inside."""
+        """Words of the text in lower case; three or more single characters in a row are one word, with blanks inside; quotes before the first and signs after the last may hang on."""
         found = text.lower().split()
         lengths = list(map(len, found))
-        if lengths.count(1) < 3:
+        if lengths.count(1) < 2:
             return found
         out, run = [], []
         for word, n in zip(found, lengths, strict=True):
-            if n == 1:
+            if n == 1 or not run and n == 2 and word[0] in OPENING:
                 run.append(word)
                 continue
+            if run and n <= 3 and not word[1:].strip(CLOSING):
+                run.append(word)
+                word = None
             out += [" ".join(run)] if len(run) > 2 else run
             run = []
-            out.append(word)
+            if word is not None:
+                out.append(word)
         return out + ([" ".join(run)] if len(run) > 2 else run)
 
     def text(self, text: str) -> str:
@@ -107,21 +111,23 @@ class Restorer:
         return " ".join(map(self.word, self.tokens(text)))
 
     def word(self, word: str) -> str:
-        gapped = " " in word or GAPPED.fullmatch(word) is not None
-        if not gapped and not ODD.search(word):
+        """The word restored; quotes before it and signs of the sentence after it stay as they are."""
+        core = word.lstrip(OPENING).rstrip(CLOSING)
+        gapped = " " in core or GAPPED.fullmatch(core) is not None
+        if not core or not gapped and not ODD.search(core):
             return word
-        core = word.rstrip("!.,;:?\"')")
-        return self.decode(core, gapped) + word[len(core) :]
+        at = word.index(core)
+        return word[:at] + self.decode(core, gapped) + word[at + len(core) :]
 
     def decode(self, word: str, gapped: bool = False) -> str:
-        """Cheapest path: states are the last two letters; an edge keeps, swaps or drops a character."""
+        """Cheapest path: states are the last two letters; an edge keeps, swaps or drops a character. A letter that stands twice may be dropped at a high cost, as doubling is plain spelling."""
         paths: dict[tuple[int, int], tuple[float, tuple]] = {(0, 0): (0.0, ())}
         for i, c in enumerate(word):
             if c in STANDS_FOR:
                 options = [(x, SWAP) for x in STANDS_FOR[c]] + [(c, KEEP_SIGN)]
             else:
                 options = [(c, 0.0)]
-            if gapped and i % 2:
+            if gapped and c in GAPS:
                 options = [("", DROP_GAP), (c, KEEP_SIGN)]
             elif i and c == word[i - 1]:
                 long = word[max(0, i - 2) : i] == c + c or word[i - 1 : i + 2] == c + c + c
