@@ -54,6 +54,44 @@ def test_containment_of_a_part(spark):
     assert r["c"] == 1.0 and 0.2 < r["j"] < 0.5 and r["m"] == r["fa"]
 
 
+def _shingles(text):
+    w = text.lower().split()
+    return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+
+def test_likeness_against_shingle_sets(spark):
+    """Containment by sketch against the sets themselves, over the documents of a small table."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    rows = sorted(((r["doc_id"], r["text"] or "") for r in docs.collect()), key=lambda x: x[0])
+    got = {r["doc_id"]: r for r in fingerprints.fingerprint(docs).collect()}
+    errors = []
+    for k, (i, t) in enumerate(rows):
+        after = rows[(k + 1) % len(rows)][1]
+        half = len(t) // 2
+        edited = t[: len(t) - half] + after[:half]
+        assert got[i]["edited_sha256"] == hashlib.sha256(edited.encode()).hexdigest()
+        for name, other in (("near_edited", edited), ("near_next", after)):
+            a, b = _shingles(t), _shingles(other)
+            if a and b:
+                errors.append(abs(got[i][name] - len(a & b) / min(len(a), len(b))))
+    assert sum(errors) / len(errors) < 0.06 and sum(e > 0.3 for e in errors) < 0.04 * len(errors), (sum(errors) / len(errors), sum(e > 0.3 for e in errors))
+
+
+def test_merging_is_exact(spark):
+    """Fingerprints of parts give that of all their shingles, short parts without a hash below the threshold included."""
+    texts = [sentence(900 + i, n) for i, n in enumerate((5, 6, 7, 9, 12, 30, 200))]
+    fp = fingerprints.with_fingerprint(spark.createDataFrame([(t,) for t in texts], "t string"), "t", "f")
+    hashes = fingerprints.with_fingerprint(spark.createDataFrame([(t,) for t in texts], "t string"), "t", "f", fraction=1)
+    by = {r["t"]: r["f"] for r in fp.collect()}
+    every = {r["t"]: set(r["f"]) for r in hashes.collect()}
+    pairs = [(a, b) for a in texts for b in texts]
+    got = spark.createDataFrame([(by[a], by[b]) for a, b in pairs], "a array<long>, b array<long>").select(fingerprints.merged(F.col("a"), F.col("b")).alias("m")).collect()
+    limit = fingerprints.limit_of(fingerprints.FRACTION)
+    for (a, b), r in zip(pairs, got, strict=True):
+        both = every[a] | every[b]
+        assert r["m"] == (sorted(x for x in both if x < limit) or [min(both)])
+
+
 def test_empty_tables(spark):
     empty = documents(spark, [])
     assert fingerprints.fingerprint(empty).count() == 0

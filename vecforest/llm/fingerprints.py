@@ -13,9 +13,9 @@ from pyspark.sql import functions as F
 from .common import NO_ID, id_key, table, text_key, with_grams
 
 SHINGLE = 5
-FRACTION = 8  # one hash of so many stays
+FRACTION = 4  # one hash of so many stays
 ROWS_A_BUCKET = 4096
-MOST_BUCKETS = 1 << 16
+MOST_BUCKETS = 1 << 14  # bounds that a plan holds; beyond them buckets grow, and the window over one spills
 CHUNK = 256
 
 
@@ -27,7 +27,7 @@ def with_fingerprint(df: DataFrame, text: str, out: str, size: int = SHINGLE, fr
     hash is below the threshold the least one stays, so that only texts without
     words have empty fingerprints.
     """
-    limit = -(1 << 63) + (1 << 64) // fraction
+    limit = limit_of(fraction)
     words = F.filter(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), r"\s+"), lambda w: w != "")
     df = with_grams(df.withColumn("__h", F.transform(words, lambda w: F.xxhash64(w))), "__h", size, "__g")
     df = df.withColumn("__g", F.when((F.size("__h") > 0) & (F.size("__h") < size), F.array(F.xxhash64("__h"))).otherwise(F.col("__g")))
@@ -36,13 +36,24 @@ def with_fingerprint(df: DataFrame, text: str, out: str, size: int = SHINGLE, fr
     return df.withColumn(out, F.when(F.size("__k") > 0, F.array_sort(F.array_distinct("__k"))).otherwise(least)).drop("__h", "__g", "__k")
 
 
-def merged(a: Column, b: Column) -> Column:
-    """Fingerprint of two texts together (but for shingles over the seam and the least-hash rule)."""
-    return F.array_sort(F.array_union(a, b))
+def limit_of(fraction: int) -> int:
+    """Hashes below stay."""
+    return min(-(1 << 63) + (1 << 64) // fraction, (1 << 63) - 1)
+
+
+def merged(a: Column, b: Column, fraction: int = FRACTION) -> Column:
+    """The fingerprint of the shingles of two texts together, exactly: a least hash that stood in for none goes once there are others."""
+    both = F.array_sort(F.array_union(a, b))
+    kept = F.filter(both, lambda x: x < limit_of(fraction))
+    return F.when(F.size(kept) > 0, kept).otherwise(F.slice(both, 1, 1))
 
 
 def containment(a: Column, b: Column) -> Column:
-    """Share of the smaller fingerprint that lies in the other; 1 for two empty ones, 0 for one."""
+    """Share of the smaller fingerprint that lies in the other; 1 for two empty ones, 0 for one.
+
+    Estimates the share of the shingles of the text with fewer that the other
+    holds, as each shingle is kept with the same chance.
+    """
     less = F.least(F.size(a), F.size(b))
     return F.when(less > 0, F.size(F.array_intersect(a, b)) / less).when(F.size(a) == F.size(b), F.lit(1.0)).otherwise(F.lit(0.0))
 
@@ -84,6 +95,8 @@ def fingerprint(docs: DataFrame) -> DataFrame:
     first as many (or all) of the next document by ascending doc_id; after the
     last comes the first. Null texts count as empty; null ids come first; rows
     with equal ids follow each other in the order of a hash of their texts.
+    near_edited and near_next are containment(): the share of the smaller
+    fingerprint that lies in the other.
     """
     rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("key", id_key(F.col("doc_id")))
     bounds = _bounds(rows.select("key"))
