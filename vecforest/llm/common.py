@@ -120,3 +120,13 @@ def with_window_minima(df: DataFrame, values: str, width: int, out: str) -> Data
             made.append(name)
             cur, length = name, 2 * length
     return df.withColumn(out, F.array_distinct(F.col(runs))).drop(*made)
+
+
+SALTS = 16
+
+
+def joined_by_salt(rows: DataFrame, one_each: DataFrame, key: str, spread_by: str) -> DataFrame:
+    """rows joined with a table of one row a key, each of whose rows goes to SALTS tasks: a key that most rows hold is no task of its own."""
+    salt = F.pmod(F.xxhash64(spread_by, F.lit(3)), F.lit(SALTS)).cast("int").alias("__salt")
+    every = one_each.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return rows.select("*", salt).join(every, [key, "__salt"]).drop("__salt")

@@ -16,18 +16,20 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import NO_ID, id_key, row_key, staged, table
+from .common import NO_ID, id_key, joined_by_salt, row_key, staged, table
 from .components import components
 
 SHINGLE, THRESHOLD = 5, 0.8
-ROWS, BANDS = 5, 26  # a pair at the threshold shares no band once in 30,000 times
+ROWS, BANDS = 4, 32  # a pair at the threshold shares no band once in 20 million times
 HASHES = ROWS * BANDS
 TOLERANCE = 1e-6
-STEP = 10
-BLOCK = 256  # members of a block; a task compares two blocks at most
-LARGE = 8192  # candidate groups above are compared band by band
+STEP = 16
+BLOCK = 512  # members of a block; a task compares two blocks at most
+LARGE = 8192  # candidate groups above are dealt out by band; links are the same either way
+HOT = 1000  # texts with more copies than one row in so many are joined by a broadcast
 KEPT_WORDS = 300_000
 SIEVE_BITS = 1 << 28  # of the filter that goes to all workers
+SIEVE_PARTS = 64
 _GOLD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -169,7 +171,7 @@ def _root(parent: np.ndarray, x: int) -> int:
 
 
 def _compared(key, pdf: pd.DataFrame, threshold: float, floors: list[int]) -> pd.DataFrame:
-    """All pairs of one cell: for each member its links here (copies counted) and the least member that it hangs with."""
+    """All pairs of one cell that share a band: for each member its links here (copies counted) and the least member that it hangs with."""
     pdf = pdf.drop_duplicates("rep")  # equal rows of the source
     sets = [np.frombuffer(s, dtype=np.uint64) for s in pdf["shingles"]]
     sigs = np.stack([signature(s) for s in sets])
@@ -180,11 +182,13 @@ def _compared(key, pdf: pd.DataFrame, threshold: float, floors: list[int]) -> pd
     links = np.zeros(len(pdf), dtype=np.int64)
     parent = np.arange(len(pdf))
     order = np.argsort(np.argsort(reps))
-    keys = np.stack([band_keys(s) for s in sigs]) if band >= 0 else None
+    keys = np.stack([band_keys(s) for s in sigs])
     for i, j in verified_pairs(sets, sigs, left, right, first == second, threshold, floors):
-        if keys is not None:  # a pair counts in the first band that it shares
-            ok = (keys[i] == keys[j]).argmax(1) == band
-            i, j = i[ok], j[ok]
+        same = keys[i] == keys[j]
+        ok = same.any(1)
+        if band >= 0:  # a pair counts in the first band that it shares
+            ok &= same.argmax(1) == band
+        i, j = i[ok], j[ok]
         np.add.at(links, i, copies[j])
         np.add.at(links, j, copies[i])
         for a, b in zip(i.tolist(), j.tolist(), strict=True):
@@ -204,7 +208,8 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE) ->
     class_id is the least doc_id that is linked over any number of links, the
     document's own if there is none. Texts without words (and null texts) link
     with none. Null ids are told apart by nothing and count as one id, null.
-    Equal rows are copies of each other.
+    Equal rows are copies of each other. Texts are told apart by 64 bits of
+    hash. Pairs that share no band are not compared, in groups of any size.
     """
     keyed = docs.select(id_key(F.col("doc_id")).alias("id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("t", F.xxhash64("text", F.length("text")))
 
@@ -237,17 +242,18 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE) ->
             at, band = np.nonzero(sieved(keys.reshape(-1), bits).reshape(keys.shape))
             yield pd.DataFrame({"t": some["t"].to_numpy()[at], "band": band, "key": keys[at, band]})
 
-    near = signs.select("t", "n", "bands").mapInPandas(in_groups, "t long, band int, key long")
-    member_of = staged(near.join(groups, "key").select("t", "band", "key", "least").distinct(), "members")
+    # copies meet before the join, and a key that many texts hold goes to several tasks
+    near = signs.select("t", "n", "bands").mapInPandas(in_groups, "t long, band int, key long").distinct()
+    member_of = staged(joined_by_salt(near, groups, "key", "t").select("t", "band", "key", "least"), "members")
     ties = member_of.where("t <> least").select(F.col("t").alias("u"), F.col("least").alias("v"))
     member = staged(components(ties), "candidates")
     weight = staged(member.groupBy("root").agg(F.count(F.lit(1)).alias("n")), "weights")
-    dealt = member.join(weight, "root").select(F.col("node").alias("t"), "root", "n")
+    dealt = joined_by_salt(member, weight, "root", "node").select(F.col("node").alias("t"), "root", "n")
     spread = lambda n: F.greatest(F.lit(1), F.ceil(n / BLOCK)).cast("int")
     whole = dealt.where(F.col("n") <= LARGE).select("t", F.col("root").alias("cell"), F.lit(-1).alias("band"), spread(F.col("n")).alias("blocks"))
     in_bands = member_of.join(dealt.where(F.col("n") > LARGE).select("t"), "t").select("t", "band", "key")
     counts = staged(in_bands.groupBy("key").agg(F.count(F.lit(1)).alias("n")), "band-counts")
-    in_bands = in_bands.join(counts, "key").select("t", F.col("key").alias("cell"), "band", spread(F.col("n")).alias("blocks"))
+    in_bands = joined_by_salt(in_bands, counts, "key", "t").select("t", F.col("key").alias("cell"), "band", spread(F.col("n")).alias("blocks"))
     cells = whole.unionByName(in_bands).withColumn("block", F.pmod(F.xxhash64("t", "cell"), F.col("blocks")).cast("int"))
     cells = staged(cells, "cells")
 
@@ -271,10 +277,14 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE) ->
 
     tied = staged(components(found.where("rep <> hang").select(F.col("rep").alias("u"), F.col("hang").alias("v"))), "tied")
     ids = tied.join(texts, tied["node"] == texts["t"]).groupBy("root").agg(F.min("least_id").alias("class"))
-    tally = found.groupBy("rep").agg(F.sum("links").alias("links")).join(tied, F.col("rep") == F.col("node")).join(ids, "root").select(F.col("rep").alias("t"), "links", "class")
-    linked = staged(tally, "linked")
+    tally = found.groupBy("rep").agg(F.sum("links").alias("links")).join(tied, F.col("rep") == F.col("node"))
+    linked = staged(joined_by_salt(tally, ids, "root", "rep").select(F.col("rep").alias("t"), "links", "class"), "linked")
     per_text = texts.where("copies > 1").select("t", "copies", "least_id").join(linked, "t", "full").select("t", F.coalesce("copies", F.lit(1)).alias("copies"), F.coalesce("class", "least_id").alias("class"), F.coalesce("links", F.lit(0)).alias("links"))
-    out = signs.select("id", "t").join(staged(per_text, "per-text"), "t", "left")
+    per_text = staged(per_text, "per-text")
+    often = F.col("copies") > max(HOT, signs.count() / HOT)  # of HOT texts at most
+    hot = F.broadcast(per_text.where(often))
+    out = signs.select("id", "t")
+    out = out.join(hot, "t").unionByName(out.join(hot.select("t"), "t", "left_anti").join(per_text.where(~often), "t", "left"))
     back = lambda c: F.when(c != NO_ID, c)
     return out.select(
         back(F.col("id")).alias("doc_id"),
@@ -291,17 +301,24 @@ def broadcast_sieve(keys: DataFrame, most_bits: int = SIEVE_BITS):
     """
     n = keys.count()
     size = 1 << max(10, min(most_bits.bit_length() - 1, (16 * max(n, 1)).bit_length()))
+    span = size // SIEVE_PARTS
+
+    def slots(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            at = np.unique(_slot(batch["k"].to_numpy(), size))
+            yield pd.DataFrame({"part": at // span, "at": at % span})
 
     def mark(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        bits = np.zeros(size, dtype=bool)
+        made: dict[int, np.ndarray] = {}
         for batch in batches:
-            bits[_slot(batch["k"].to_numpy(), size)] = True
-        if bits.any():
-            yield pd.DataFrame({"bits": [np.packbits(bits).tobytes()]})
+            for part, some in batch.groupby("part"):
+                made.setdefault(int(part), np.zeros(span, dtype=bool))[some["at"].to_numpy()] = True
+        for part, bits in made.items():
+            yield pd.DataFrame({"part": [part], "bits": [np.packbits(bits).tobytes()]})
 
     every = np.zeros(size // 8, dtype=np.uint8)
-    for row in keys.coalesce(8).mapInPandas(mark, "bits binary").toLocalIterator():
-        every |= np.frombuffer(bytes(row["bits"]), dtype=np.uint8)
+    for row in keys.mapInPandas(slots, "part long, at long").repartition("part").mapInPandas(mark, "part long, bits binary").collect():
+        every[row["part"] * span // 8 : (row["part"] + 1) * span // 8] |= np.frombuffer(bytes(row["bits"]), dtype=np.uint8)
     return keys.sparkSession.sparkContext.broadcast(every)
 
 
