@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import random
 import zlib
 from collections import defaultdict
 
@@ -192,6 +193,75 @@ def test_changed_passage_of_parts_that_others_hold(spark, monkeypatch, few):
     assert {(r["doc_id"], r["other_id"]) for r in got} == {(x, y) for x in (5, 10, 15) for y in (5, 10, 15) if x != y}
 
 
+def longest_shared(texts):
+    """By pair of rows: the longest run of words that both hold."""
+    out = {}
+    words = [t.lower().split() for t in texts]
+    for a in range(len(texts)):
+        for b in range(a):
+            row, best = [0] * (len(words[b]) + 1), 0
+            for x in words[a]:
+                row = [0] + [row[j] + 1 if x == y else 0 for j, y in enumerate(words[b])]
+                best = max(best, *row)
+            out[b, a] = best
+    return out
+
+
+@pytest.mark.parametrize("whole,part", [(56, 24), (60, 30), (70, 35), (80, 40)])
+def test_passage_whose_start_others_hold(spark, whole, part):
+    p = sentence(820, whole).split()
+    held = {1: p[:part], 9: p[:part], 3: p, 7: p}
+    rows = [(i, f"{sentence(830 + i, 70)} x{i} {' '.join(t)} y{i} {sentence(850 + i, 70)}") for i, t in held.items()]
+    got = {(r["doc_id"], r["other_id"]): r for r in passages.repeated_passages(documents(spark, rows)).collect()}
+    assert set(got) == {(3, 7), (7, 3)}
+    assert all((r["start_word"], r["end_word"]) == (71, 71 + whole) for r in got.values())
+
+
+def test_planted_passages_by_brute_force(spark):
+    """Each document with a run of over 50 words of another is found, and no document without one."""
+    rng = random.Random(5)
+    pool = [sentence(1000 + i, rng.randint(45, 120)).split() for i in range(25)]
+    rows = []
+    for i in range(90):
+        parts = [sentence(2000 + i, rng.randint(10, 90))]
+        for _ in range(rng.randint(0, 2)):
+            p = rng.choice(pool)
+            cut = rng.randint(0, max(0, len(p) - 40))
+            parts += [f"z{i}", " ".join(p[cut : cut + rng.randint(30, 120)]), f"w{i}", sentence(3000 + 7 * i + len(parts), rng.randint(5, 60))]
+        rows.append((i, " ".join(parts)))
+    runs = longest_shared([t for _, t in rows])
+    want = {x for pair, n in runs.items() if n > 50 for x in pair}
+    got = passages.repeated_passages(documents(spark, rows)).collect()
+    found = {r["doc_id"] for r in got}
+    assert len(want) > 30 and want <= found and len(found - want) <= 0.05 * len(want)
+    for r in got:
+        a, b = (rows[r[c]][1].lower().split() for c in ("doc_id", "other_id"))
+        x, y = a[r["start_word"] : r["end_word"]], b[r["other_start"] : r["other_end"]]
+        assert min(len(x), len(y)) > 50 and passages.aligned(x, y) >= 0.8 * max(len(x), len(y))
+
+
+@pytest.mark.parametrize("words,share,least", [(100, 0.03, 0.95), (100, 0.08, 0.6), (200, 0.08, 0.8)])
+def test_recall_of_changed_passages(spark, words, share, least):
+    """Share of pairs found whose common passage has a share of its words changed at random in one copy."""
+    rng = random.Random(9)
+    rows = []
+    for i in range(40):
+        p = sentence(4000 + i, words).split()
+        q = [f"c{i}n{k}" if rng.random() < share else w for k, w in enumerate(p)]
+        rows += [(2 * i, f"{sentence(5000 + i, 40)} {' '.join(p)} {sentence(6000 + i, 40)}"), (2 * i + 1, f"{sentence(7000 + i, 40)} {' '.join(q)} {sentence(8000 + i, 40)}")]
+    got = {(r["doc_id"], r["other_id"]) for r in passages.repeated_passages(documents(spark, rows)).collect()}
+    assert sum((2 * i, 2 * i + 1) in got for i in range(40)) >= least * 40, sum((2 * i, 2 * i + 1) in got for i in range(40))
+
+
+def test_passages_of_rows_without_ids(spark):
+    """Repeated and null ids keep their texts."""
+    p = sentence(860, 80)
+    rows = [(None, f"{sentence(861, 60)} {p}"), (None, sentence(862, 90)), (5, f"{sentence(863, 60)} {p}"), (5, sentence(864, 90)), (6, f"{p} {sentence(865, 60)}"), (6, f"{p} {sentence(865, 60)}")]
+    got = passages.repeated_passages(documents(spark, rows)).collect()
+    assert {(r["doc_id"], r["other_id"]) for r in got} == {(a, b) for a in (None, 5, 6) for b in (None, 5, 6) if a != b}
+    assert all(r["end_word"] - r["start_word"] == 80 for r in got)
+
+
 def test_chains():
     a = np.array([0, 4, 9, 200, 204, 208, 212])
     got = sorted(passages.chains(a, a + 7))
