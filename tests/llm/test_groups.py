@@ -269,6 +269,27 @@ def test_chains():
     assert passages.aligned("a b c d".split(), "a x c d".split()) == 3
 
 
+def test_alignment_by_table():
+    rng = random.Random(6)
+    for _ in range(60):
+        x, y = ([rng.choice("abcdef") for _ in range(rng.randint(0, 90))] for _ in range(2))
+        row = [0] * (len(y) + 1)
+        for w in x:
+            new = [0]
+            for j, v in enumerate(y):
+                new.append(row[j] + 1 if v == w else max(row[j + 1], new[j]))
+            row = new
+        assert passages.aligned(x, y) == row[-1]
+
+
+def test_winnowing_by_windows():
+    rng = np.random.default_rng(4)
+    for n, w in ((3, 8), (8, 8), (9, 8), (200, 8), (200, 12), (57, 5)):
+        g = rng.integers(1, 50 if n < 100 else 1 << 60, n).astype(np.uint64)
+        want = {i for a in range(max(1, n - w + 1)) for i in range(a, min(n, a + w)) if g[i] == g[a : a + w].min()}
+        assert passages.winnowed(g, w).tolist() == sorted(want)
+
+
 def test_pipeline_by_stages(spark, sf):
     docs = table(spark, sf, "documents")
     name, f = corpus_pipeline.STAGES[0]

@@ -132,17 +132,18 @@ def joined_by_salt(rows: DataFrame, one_each: DataFrame, key: str, spread_by: st
     return rows.select("*", salt).join(every, [key, "__salt"]).drop("__salt")
 
 
-def joined_with_hot(rows: DataFrame, one_each: DataFrame, key: str, spread_by: str, share: int = 1000, salted: bool = False) -> DataFrame:
-    """rows joined with a table of one row a key; keys that hold more than one row in `share` go to SALTS tasks each.
+def joined_with_hot(rows: DataFrame, one_each: DataFrame, key: str, *spread_by: str, share: int = 1000, salted: bool = False) -> DataFrame:
+    """rows joined with a table of one row a key; a key that holds more than one row in `share` goes to a task for each such part of it.
 
     There are `share` such keys at most, so they go to all workers. rows should be a staged table, as it is read for them too.
     salted keeps column __salt, the number of the task of such a key.
     """
-    hot = rows.groupBy(key).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > max(1000, rows.count() / share))
-    hot = F.broadcast(staged(hot.select(key, F.lit(True).alias("__hot")), "hot"))
-    salt = F.when(F.col("__hot"), F.pmod(F.xxhash64(spread_by, F.lit(3)), F.lit(SALTS))).otherwise(0).cast("int")
-    every = F.explode(F.when(F.col("__hot"), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0))))
-    left = rows.join(hot, key, "left").withColumn("__salt", salt).drop("__hot")
-    right = one_each.join(hot, key, "left").withColumn("__salt", every).drop("__hot")
+    most = max(1000, rows.count() // share)
+    hot = rows.groupBy(key).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > most)
+    hot = F.broadcast(staged(hot.select(key, F.ceil(F.col("n") / most).cast("int").alias("__many")), "hot"))
+    salt = F.coalesce(F.pmod(F.xxhash64(*spread_by, F.lit(3)), F.col("__many")), F.lit(0)).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.coalesce("__many", F.lit(1)) - 1))
+    left = rows.join(hot, key, "left").withColumn("__salt", salt).drop("__many")
+    right = one_each.join(hot, key, "left").withColumn("__salt", every).drop("__many")
     out = left.join(right, [key, "__salt"])
     return out if salted else out.drop("__salt")
