@@ -93,7 +93,7 @@ def ck_ann_rounds(index: ForestIndex, points: DataFrame, queries: DataFrame | Qu
     for t in range(rounds):
         outer = {int(i): p.eps * r_min[int(i)] * p.c**t for i in left.ids}
         leaves = staged(leaves_for(index, left, outer), "leaf-list")
-        ring = points_of(index, leaves, outer, "exact", leaves.count()).where(F.col("p") > limit_of({i: inner[i] for i in outer}))
+        ring = points_of(index, leaves, "exact", leaves.count()).where(F.col("p") > limit_of({i: inner[i] for i in outer}))
         step = ring.select("query_id", "vec_id", (F.lit(t * p.L) + F.col("space")).alias("entry_step"))
         every = step if pooled is None else pooled.unionByName(step)
         pooled = staged(every.groupBy("query_id", "vec_id").agg(F.min("entry_step").alias("entry_step")), "pool")
@@ -129,6 +129,100 @@ def ck_ann_rounds(index: ForestIndex, points: DataFrame, queries: DataFrame | Qu
     return out
 
 
+BINS = 256  # of a query's upper bounds, to find a radius that holds enough points
+
+
+def _enough(index: ForestIndex, q: Queries, need: dict[int, int], where: Column | None) -> dict[int, float]:
+    """By query: a projected radius within which one tree holds `need` points and one more; from its leaves' upper bounds, added up by bins."""
+    leaves = leaves_for(index, q, {int(i): float("inf") for i in q.ids}, nodes=index.leaves.where("space = 1"))
+    if where is not None:
+        held = index.points.where(where).where("space = 1").groupBy("leaf_id").agg(F.count(F.lit(1)).alias("n_points"))
+        leaves = leaves.drop("n_points").join(held, "leaf_id")
+    leaves = staged(leaves.select("query_id", "ub", "n_points"), "upper-bounds")
+    ends = leaves.groupBy("query_id").agg(F.min("ub").alias("least"), F.max("ub").alias("most"))
+    width = F.greatest((F.col("most") - F.col("least")) / BINS, F.lit(1e-9))
+    bins = leaves.join(F.broadcast(ends), "query_id").withColumn("bin", F.least(F.floor((F.col("ub") - F.col("least")) / width), F.lit(BINS - 1)))
+    rows = bins.groupBy("query_id", "bin").agg(F.sum("n_points").alias("n"), F.max("ub").alias("ub")).orderBy("query_id", "bin").collect()  # BINS a query
+    out: dict[int, float] = {}
+    upto: dict[int, int] = {}
+    for r in rows:
+        i = r["query_id"]
+        if upto.get(i, 0) < need[i] + 1:
+            upto[i], out[i] = upto.get(i, 0) + r["n"], r["ub"]
+    return {int(i): out.get(int(i), 0.0) for i in q.ids}
+
+
+def _others(points: DataFrame, q: Queries, where: Column | None) -> dict[int, int]:
+    """By query: how many points there are but for its own row."""
+    some = points if where is None else points.where(where)
+    own = {r[0] for r in some.where(F.col("vec_id").isin([int(i) for i in q.ids])).select("vec_id").collect()}
+    n = some.count()
+    return {int(i): n - (int(i) in own) for i in q.ids}
+
+
+def _entered(index: ForestIndex, q: Queries, radius: dict[int, float], where: Column | None, workers: int) -> DataFrame:
+    """(query_id, vec_id, p by space): staged; only leaves that a radius reaches are read, dealt to the workers by bound."""
+    leaves = leaves_for(index, q, radius)
+    if workers > 1:
+        leaves = leaves.repartition(workers, "space", "leaf_id").sortWithinPartitions("lb")
+    leaves = staged(leaves, "leaf-list")
+    return staged(points_of(index, leaves, "exact", leaves.count(), where).select("query_id", "space", "vec_id", "p"), "entered")
+
+
+def _first_steps(entered: DataFrame, need: dict[int, int], L: int) -> tuple[DataFrame, dict[int, int]]:
+    """The pool by entry space, and by query the first space after which it holds `need` points; L + 1 if none."""
+    pool = entered.groupBy("query_id", "vec_id").agg(F.min("space").alias("step"))
+    upto: dict[int, int] = {}
+    stop: dict[int, int] = {}
+    for r in pool.groupBy("query_id", "step").agg(F.count(F.lit(1)).alias("m")).orderBy("query_id", "step").collect():  # L numbers a query
+        i = r["query_id"]
+        upto[i] = upto.get(i, 0) + r["m"]
+        if i not in stop and upto[i] >= need[i]:
+            stop[i] = r["step"]
+    return pool, {i: stop.get(i, L + 1) for i in need}
+
+
+def ck_ann_index(index: ForestIndex, points: DataFrame, queries: DataFrame | Queries, k: int = 50, r_min: str | float | dict = "budget", where: Column | None = None, workers: int = 1, rounds: int = 40) -> DataFrame:
+    """The c-squared-k query over the trees: (query_id, rank, vec_id, dist), equal to ck_ann().
+
+    With r_min 'budget' a bound of the radius comes from the leaves of one tree,
+    the leaves that it reaches in all trees give the radius that fills the
+    budget, and the pool is cut after the tree that fills it. With a number the
+    radius grows by rounds, each reading the ring that it adds. Vectors are read
+    for the pooled points alone.
+    """
+    p = index.params
+    q = queries if isinstance(queries, Queries) else collected(queries)
+    if r_min != "budget":
+        first = {int(i): float(r_min[int(i)] if isinstance(r_min, dict) else r_min) for i in q.ids}
+        return ck_ann_rounds(index, points, q, k, first, rounds)
+    others = _others(points, q, where)
+    need = {i: min(p.need(n, k), max(n, 1)) for i, n in others.items()}
+    entered = _entered(index, q, _enough(index, q, need, where), where, workers)
+    wanted = points.sparkSession.createDataFrame(list(need.items()), "query_id long, need long")
+    w = Window.partitionBy("query_id").orderBy("p")
+    nearest = entered.groupBy("query_id", "vec_id").agg(F.min("p").alias("p"))
+    radii = nearest.withColumn("at", F.row_number().over(w)).join(F.broadcast(wanted), "query_id").where("at = need").select("query_id", F.greatest("p", F.lit(engine.TINY)).alias("r"))
+    inside = entered.join(F.broadcast(staged(radii, "radii")), "query_id").where("p <= r")
+    pool, stop = _first_steps(inside, need, p.L)
+    stops = F.broadcast(points.sparkSession.createDataFrame(list(stop.items()), "query_id long, stop int"))
+    return rerank(pool.join(stops, "query_id").where("step <= stop"), points, q, k)
+
+
+def rc_ann_index(index: ForestIndex, points: DataFrame, queries: DataFrame | Queries, r: float, workers: int = 1) -> DataFrame:
+    """The (r, c) query over the trees: (query_id, vec_id, dist, within_cr), equal to rc_ann()."""
+    p = index.params
+    q = queries if isinstance(queries, Queries) else collected(queries)
+    need = {i: p.need(n, 1) for i, n in _others(points, q, None).items()}
+    pool, stop = _first_steps(_entered(index, q, {int(i): p.eps * r for i in q.ids}, None, workers), need, p.L)
+    spark = points.sparkSession
+    asked = spark.createDataFrame([(i, s, s <= p.L) for i, s in stop.items()], "query_id long, stop int, full boolean")
+    best = rerank(pool.join(F.broadcast(asked), "query_id").where("step <= stop"), points, q, 1)
+    got = asked.join(best, "query_id", "left")
+    given = F.col("full") | (F.col("dist") <= p.c * r)
+    return got.select("query_id", F.when(given, F.col("vec_id")).alias("vec_id"), F.when(given, F.col("dist")).alias("dist"), F.coalesce(given & (F.col("dist") <= p.c * r), F.lit(False)).alias("within_cr"))
+
+
 def ck_ann_tuned(index: ForestIndex, points: DataFrame, queries: DataFrame | Queries, k: int, r_min: dict[int, float] | None = None, n: int | None = None, order: str = "lb") -> DataFrame:
     """Tuned form: leaves whole when their lower bound is within the radius, nearest leaves first, stop after any leaf.
 
@@ -137,19 +231,21 @@ def ck_ann_tuned(index: ForestIndex, points: DataFrame, queries: DataFrame | Que
     """
     p = index.params
     q = queries if isinstance(queries, Queries) else collected(queries)
-    n = (points.count() if n is None else n) - 1
-    need = min(p.need(n, k), n)
+    others = _others(points, q, None) if n is None else {int(i): n for i in q.ids}
+    needs = {i: min(p.need(m, k), max(m, 1)) for i, m in others.items()}
+    wanted = F.broadcast(points.sparkSession.createDataFrame(list(needs.items()), "query_id long, need long"))
+    need = F.col("need")
     reach = {int(i): float("inf") if r_min is None else p.eps * r_min[int(i)] for i in q.ids}
     leaves = staged(leaves_for(index, q, reach), "leaf-list")
     keys = ["space", "lb", "leaf_id"] if order == "space" else ["lb", "space", "leaf_id"]
     w = Window.partitionBy("query_id").orderBy(*keys)
     # leaves of all spaces hold at most L copies of a point, so L * need points in leaf order fill the budget
-    first = leaves.withColumn("before", F.sum("n_points").over(w.rowsBetween(Window.unboundedPreceding, -1))).where(F.coalesce("before", F.lit(0)) < p.L * (need + 1) + need)
+    first = leaves.join(wanted, "query_id").withColumn("before", F.sum("n_points").over(w.rowsBetween(Window.unboundedPreceding, -1))).where(F.coalesce("before", F.lit(0)) < p.L * (need + 1) + need)
     first = staged(first.withColumn("at", F.row_number().over(w)).select("query_id", "space", "leaf_id", "lb", "ub", "n_points", "q", "at"), "first-leaves")
     rows = index.points.select("space", "leaf_id", "vec_id").join(first.select("query_id", "space", "leaf_id", "at"), ["space", "leaf_id"]).where(F.col("vec_id") != F.col("query_id"))
     entry = staged(rows.groupBy("query_id", "vec_id").agg(F.min("at").alias("at")), "entries")
     upto = entry.groupBy("query_id", "at").agg(F.count(F.lit(1)).alias("m")).withColumn("upto", F.sum("m").over(Window.partitionBy("query_id").orderBy("at")))
-    stop = upto.where(F.col("upto") >= need).groupBy("query_id").agg(F.min("at").alias("stop"), F.min("upto").alias("pooled"))
+    stop = upto.join(wanted, "query_id").where(F.col("upto") >= need).groupBy("query_id").agg(F.min("at").alias("stop"), F.min("upto").alias("pooled"))
     pool = staged(entry.join(stop, "query_id", "left").where(F.col("at") <= F.coalesce("stop", F.lit(1 << 30))).select("query_id", "vec_id", "pooled"), "pool")
     sizes = pool.groupBy("query_id").agg(F.count(F.lit(1)).alias("pooled"))
     return rerank(pool, points, q, k).join(sizes, "query_id")
@@ -159,9 +255,10 @@ def rc_ann_tuned(index: ForestIndex, points: DataFrame, queries: DataFrame | Que
     """Tuned (r, c) query: as ck_ann_tuned for one neighbour at radius eps * r; no answer beyond c * r unless the budget is full."""
     p = index.params
     q = queries if isinstance(queries, Queries) else collected(queries)
-    n = points.count() - 1
-    got = ck_ann_tuned(index, points, q, 1, {int(i): r for i in q.ids}, n + 1, order="space")
-    ok = (F.col("pooled") >= p.need(n, 1)) | (F.col("dist") <= p.c * r)
+    needs = {i: p.need(n, 1) for i, n in _others(points, q, None).items()}
+    got = ck_ann_tuned(index, points, q, 1, {int(i): r for i in q.ids}, order="space")
+    got = got.join(F.broadcast(points.sparkSession.createDataFrame(list(needs.items()), "query_id long, need long")), "query_id")
+    ok = (F.col("pooled") >= F.col("need")) | (F.col("dist") <= p.c * r)
     return got.select("query_id", F.when(ok, F.col("vec_id")).alias("vec_id"), F.when(ok, F.col("dist")).alias("dist"))
 
 

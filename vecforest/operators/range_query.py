@@ -80,7 +80,7 @@ def _bounds(lo: np.ndarray, hi: np.ndarray, q: np.ndarray) -> tuple[np.ndarray,
 
 
 def leaves_for(index: ForestIndex, q: Queries, radius: dict[int, float], beyond: dict[int, float] | None = None, nodes: DataFrame | None = None) -> DataFrame:
-    """(query_id, space, leaf_id, lb, ub, n_points, q): leaves whose lower bound is at most the query's radius (and above `beyond`)."""
+    """(query_id, space, leaf_id, lb, ub, n_points, q, radius): leaves whose lower bound is at most the query's radius (and above `beyond`)."""
     K, L = index.params.K, index.params.L
     pq = np.round(q.vectors @ index.matrix.T, 9).reshape(len(q), L, K)
 
@@ -95,11 +95,11 @@ def leaves_for(index: ForestIndex, q: Queries, radius: dict[int, float], beyond:
                     if beyond is not None:
                         ok &= lb > beyond[qid]
                     n = int(ok.sum())
-                    out.append(pd.DataFrame({"query_id": qid, "space": space, "leaf_id": part["node_id"].to_numpy()[ok], "lb": lb[ok], "ub": ub[ok], "n_points": part["n_points"].to_numpy()[ok], "q": [pq[a, space - 1]] * n}))
-            yield framed(out, ["query_id", "space", "leaf_id", "lb", "ub", "n_points", "q"])
+                    out.append(pd.DataFrame({"query_id": qid, "space": space, "leaf_id": part["node_id"].to_numpy()[ok], "lb": lb[ok], "ub": ub[ok], "n_points": part["n_points"].to_numpy()[ok], "q": [pq[a, space - 1]] * n, "radius": float(radius[qid])}))
+            yield framed(out, ["query_id", "space", "leaf_id", "lb", "ub", "n_points", "q", "radius"])
 
     source = (index.leaves if nodes is None else nodes).select("space", "node_id", "lo", "hi", "n_points")
-    return source.mapInPandas(judge, "query_id long, space int, leaf_id long, lb double, ub double, n_points long, q array<double>")
+    return source.mapInPandas(judge, "query_id long, space int, leaf_id long, lb double, ub double, n_points long, q array<double>, radius double")
 
 
 def frontier(index: ForestIndex, q: Queries, radius: dict[int, float]) -> tuple[DataFrame, DataFrame]:
@@ -117,41 +117,43 @@ def frontier(index: ForestIndex, q: Queries, radius: dict[int, float]) -> tuple[
         kinds = level.join(index.nodes.select("space", F.col("node_id").alias("leaf_id"), "is_leaf"), ["space", "leaf_id"])
         found.append(kinds.where("is_leaf").drop("is_leaf"))
         counts.append(kinds.select("query_id", "space", "is_leaf"))
-        children = index.nodes.select("space", F.col("parent_id").alias("leaf_id"), "node_id", "lo", "hi", F.col("n_points").alias("np")).join(kinds.where("not is_leaf").select("query_id", "space", "leaf_id", "q"), ["space", "leaf_id"])
-        level = _judged(children, radius)
+        children = index.nodes.select("space", F.col("parent_id").alias("leaf_id"), "node_id", "lo", "hi", F.col("n_points").alias("np")).join(kinds.where("not is_leaf").select("query_id", "space", "leaf_id", "q", "radius"), ["space", "leaf_id"])
+        level = _judged(children)
     out, c = found[0], counts[0]
     for x, y in zip(found[1:], counts[1:], strict=True):
         out, c = out.unionByName(x), c.unionByName(y)
-    return out.select("query_id", "space", "leaf_id", "lb", "ub", "n_points", "q"), c.groupBy("query_id", "space").agg(F.count(F.lit(1)).alias("nodes_kept"), F.count_if("is_leaf").alias("leaves_kept"))
+    return out.select("query_id", "space", "leaf_id", "lb", "ub", "n_points", "q", "radius"), c.groupBy("query_id", "space").agg(F.count(F.lit(1)).alias("nodes_kept"), F.count_if("is_leaf").alias("leaves_kept"))
 
 
-def _judged(children: DataFrame, radius: dict[int, float]) -> DataFrame:
+def _judged(children: DataFrame) -> DataFrame:
     def judge(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             if not len(batch):
                 continue
             lo, hi, q = (np.stack(batch[c].tolist()) for c in ("lo", "hi", "q"))
             lb, ub = _bounds(lo, hi, q)
-            ok = lb <= np.array([radius[i] for i in batch["query_id"].tolist()])
-            yield batch.assign(lb=lb, ub=ub)[ok][["query_id", "space", "node_id", "lb", "ub", "np", "q"]].rename(columns={"node_id": "leaf_id", "np": "n_points"})
+            ok = lb <= batch["radius"].to_numpy()
+            yield batch.assign(lb=lb, ub=ub)[ok][["query_id", "space", "node_id", "lb", "ub", "np", "q", "radius"]].rename(columns={"node_id": "leaf_id", "np": "n_points"})
 
-    return children.mapInPandas(judge, "query_id long, space int, leaf_id long, lb double, ub double, n_points long, q array<double>")
+    return children.mapInPandas(judge, "query_id long, space int, leaf_id long, lb double, ub double, n_points long, q array<double>, radius double")
 
 
-def points_of(index: ForestIndex, leaves: DataFrame, radius: dict[int, float], leaf_filter: str = "exact", n_leaves: int | None = None) -> DataFrame:
+def points_of(index: ForestIndex, leaves: DataFrame, leaf_filter: str = "exact", n_leaves: int | None = None, where: Column | None = None) -> DataFrame:
     """(query_id, space, vec_id, p, lb, leaf_id) of the leaves' points that pass: exact projected distance, bound of the point's own cell, or all.
 
     Points of a leaf that lies inside the radius pass untested (its upper bound
-    is within). A query's own row is left out.
+    is within). A query's own row is left out. where restricts the points by
+    columns that the index keeps.
     """
     K = index.params.K
-    listed = leaves.select("query_id", "space", "leaf_id", "lb", "ub", "q")
+    listed = leaves.select("query_id", "space", "leaf_id", "lb", "ub", "q", "radius")
     if n_leaves is not None and n_leaves <= LEAF_BROADCAST:
         listed = F.broadcast(listed)
-    rows = index.points.join(listed, ["space", "leaf_id"]).where(F.col("vec_id") != F.col("query_id"))
+    some = index.points if where is None else index.points.where(where)
+    rows = some.join(listed, ["space", "leaf_id"]).where(F.col("vec_id") != F.col("query_id"))
     terms = sum(((F.element_at("proj", j) - F.element_at("q", j)) * (F.element_at("proj", j) - F.element_at("q", j)) for j in range(2, K + 1)), (F.element_at("proj", 1) - F.element_at("q", 1)) * (F.element_at("proj", 1) - F.element_at("q", 1)))
     rows = rows.withColumn("p", F.round(F.sqrt(terms), 9))
-    limit = F.element_at(F.create_map(*[x for i, r in radius.items() for x in (F.lit(i).cast("long"), F.lit(float(r)))]), F.col("query_id"))
+    limit = F.col("radius")
     if leaf_filter == "exact":
         rows = rows.where((F.col("ub") <= limit) | (F.col("p") <= limit))
     elif leaf_filter == "cell":
@@ -162,15 +164,15 @@ def points_of(index: ForestIndex, leaves: DataFrame, radius: dict[int, float], l
 
 
 def _cell_bound(index: ForestIndex):
-    edges, K = [np.array(e) for e in index.edges], index.params.K
+    """Lower bound of a point's own cell, by one look-up of all edges of a batch."""
+    edges, K = np.array(index.edges, dtype=float), index.params.K
 
     def bound(space: pd.Series, code: pd.Series, q: pd.Series) -> pd.Series:
-        out = []
-        for s, c, v in zip(space, code, q, strict=True):
-            lo = np.array([edges[(s - 1) * K + j][c[j]] for j in range(K)])
-            hi = np.array([edges[(s - 1) * K + j][c[j] + 1] for j in range(K)])
-            out.append(float(_bounds(lo[None], hi[None], np.asarray(v))[0][0]))
-        return pd.Series(out, dtype=float)
+        if not len(space):
+            return pd.Series([], dtype=float)
+        c = np.stack([np.asarray(x, dtype=np.int64) for x in code])
+        row = (space.to_numpy(dtype=np.int64)[:, None] - 1) * K + np.arange(K)
+        return pd.Series(_bounds(edges[row, c], edges[row, c + 1], np.stack(q.tolist()))[0])
 
     return F.pandas_udf(bound, "double")
 
@@ -186,7 +188,7 @@ def range_query(index: ForestIndex, q: Queries, radius: float | dict[int, float]
     if n_workers > 1 or n_queues > 1:
         leaves = leaves.withColumn("queue", F.pmod(F.xxhash64("leaf_id"), F.lit(max(n_queues, 1)))).repartition(n_workers, "space", "leaf_id", "queue").drop("queue")
     leaves = staged(leaves, "leaf-list")
-    return points_of(index, leaves, r, leaf_filter, leaves.count())
+    return points_of(index, leaves, leaf_filter, leaves.count())
 
 
 def range_ring(index: ForestIndex, q: Queries, inner: dict[int, float] | float, outer: dict[int, float] | float, leaf_filter: str = "exact") -> DataFrame:

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import math
+import uuid
 from functools import lru_cache
 
 import numpy as np
@@ -19,6 +21,7 @@ from ..operators.exact import check_c_k_ann, check_rc_ann, collected, exact_knn
 from ..operators.projection import bucket_hash, chi2_check, collision_curve, long_form, project, projection_matrix
 from ..operators.range_query import build_index, frontier, range_query, range_ring, range_trace
 from ..operators.views import queries_of
+from ..plans.staging import removed
 from . import sqlparts as sq
 
 D, K_NN = 64, 10
@@ -99,6 +102,12 @@ RC_PARTS = [*base(), sq.proximity("l2"), sq.radii_fixed(P.eps * R_RC, P.c, 1),
 
 @query("rc_ann", sq.with_(*RC_PARTS) + f"SELECT query_id, vec_id, round(dist, 6) AS dist, coalesce(dist <= {sq.number(P.c * R_RC)}, false) AS within_cr FROM rc")
 def rc_ann(spark, sf_dir):
+    v = points(spark, sf_dir)
+    return ann.rc_ann_index(whole_index(spark, sf_dir), v, queries_of(v), R_RC).select("query_id", "vec_id", F.round("dist", 6).alias("dist"), "within_cr")
+
+
+@query("rc_ann_scan", sq.with_(*RC_PARTS) + f"SELECT query_id, vec_id, round(dist, 6) AS dist, coalesce(dist <= {sq.number(P.c * R_RC)}, false) AS within_cr FROM rc")
+def rc_ann_scan(spark, sf_dir):
     v = points(spark, sf_dir)
     return ann.rc_ann(v, queries_of(v), R_RC, P).select("query_id", "vec_id", F.round("dist", 6).alias("dist"), "within_cr")
 
@@ -245,8 +254,29 @@ def small_codes(spark, sf_dir, keep=()):
     return with_root_key(by_space(encode(pr, edges_of(breakpoints(pr, 4, 4), 4, 4)), 4, 4), 4)
 
 
+_SAVED: dict = {}
+
+
+def saved_index(spark, sf_dir, params, strategy="hybrid", keep=()):
+    """The forest over the embeddings of a folder, built and saved once a session and read from its files."""
+    from ..operators.range_query import ForestIndex
+    from ..plans.staging import shared_dir
+
+    key = (spark.sparkContext.applicationId, sf_dir, params, strategy, keep)
+    if key not in _SAVED:
+        path = f"{shared_dir(spark)}/index-{uuid.uuid4().hex}"
+        build_index(points(spark, sf_dir).select("vec_id", "embedding", *keep), params, strategy, keep=keep).save(path)
+        _SAVED[key] = path
+        atexit.register(removed, spark, path)
+    return ForestIndex.load(spark, _SAVED[key])
+
+
 def small_index(spark, sf_dir, strategy="hybrid"):
-    return build_index(points(spark, sf_dir).select("vec_id", "embedding"), SMALL.with_(sample=1.0), strategy)
+    return saved_index(spark, sf_dir, SMALL.with_(sample=1.0), strategy)
+
+
+def whole_index(spark, sf_dir):
+    return saved_index(spark, sf_dir, P.with_(sample=1.0), keep=("label",))
 
 
 @query("first_layer", sq.with_(*TREE) + "SELECT CAST(space AS INTEGER) AS space, root_key, count(*) AS n FROM ro GROUP BY ALL")
@@ -268,12 +298,7 @@ def forest_stats_(spark, sf_dir):
 
 @query("index_roundtrip", "SELECT CAST(space AS INTEGER) AS space, count(*) AS points, count(DISTINCT vec_id) AS ids FROM embeddings, (SELECT unnest(range(1, 5)) AS space) GROUP BY space")
 def index_roundtrip(spark, sf_dir):
-    from ..operators.range_query import ForestIndex
-    from ..plans.staging import shared_dir
-
-    path = f"{shared_dir(spark)}/index-{abs(hash(sf_dir))}"
-    small_index(spark, sf_dir).save(path)
-    return ForestIndex.load(spark, path).points.groupBy("space").agg(F.count(F.lit(1)).alias("points"), F.countDistinct("vec_id").alias("ids"))
+    return small_index(spark, sf_dir).points.groupBy("space").agg(F.count(F.lit(1)).alias("points"), F.countDistinct("vec_id").alias("ids"))
 
 
 @query("cell_bounds", sq.with_(*TREE, "ce AS (SELECT ro.space, root_key, sy.dim, lo.edge AS lo, hi.edge AS hi FROM ro JOIN sy USING (vec_id, space) JOIN ed lo ON lo.space = sy.space AND lo.dim = sy.dim AND lo.z = CASE WHEN s >= 128 THEN 128 ELSE 0 END JOIN ed hi ON hi.space = sy.space AND hi.dim = sy.dim AND hi.z = CASE WHEN s >= 128 THEN 256 ELSE 128 END GROUP BY ALL)")
@@ -336,6 +361,12 @@ def range_frontier_counts(spark, sf_dir):
 
 @query("ck_ann_strict", sq.with_(*ck_parts()) + RANKS)
 def ck_ann_strict(spark, sf_dir):
+    v = points(spark, sf_dir)
+    return rounded(ann.ck_ann_index(whole_index(spark, sf_dir), v, queries_of(v), K_NN))
+
+
+@query("ck_ann_scan", sq.with_(*ck_parts()) + RANKS)
+def ck_ann_scan(spark, sf_dir):
     v = points(spark, sf_dir)
     return rounded(ann.ck_ann(v, queries_of(v), K_NN, P).result)
 
@@ -346,7 +377,7 @@ ROUNDS = 12
 @query("ck_ann_growing", sq.with_(*base(), sq.proximity("l2"), sq.radii_fixed(P.eps * 0.3, P.c, ROUNDS), sq.stopped(P.L, K_NN, P.c, P.eps, P.beta, ROUNDS), sq.best(K_NN)) + RANKS)
 def ck_ann_growing(spark, sf_dir):
     v = points(spark, sf_dir)
-    return rounded(ann.ck_ann(v, queries_of(v), K_NN, P, r_min=0.3, rounds=ROUNDS).result)
+    return rounded(ann.ck_ann_index(whole_index(spark, sf_dir), v, queries_of(v), K_NN, 0.3, rounds=ROUNDS))
 
 
 @query("ck_ann_rounds", sq.with_(*base(SMALL), sq.proximity("l2"), sq.radii_fixed(SMALL.eps * 0.3, SMALL.c, ROUNDS), sq.stopped(SMALL.L, K_NN, SMALL.c, SMALL.eps, SMALL.beta, ROUNDS), sq.best(K_NN)) + RANKS)
@@ -359,14 +390,14 @@ def ck_ann_rounds_(spark, sf_dir):
 @query("ck_ann_parallel", sq.with_(*ck_parts()) + RANKS)
 def ck_ann_parallel(spark, sf_dir):
     v = points(spark, sf_dir)
-    return rounded(ann.ck_ann(v.repartition(8, "vec_id"), queries_of(v), K_NN, P).result)
+    return rounded(ann.ck_ann_index(whole_index(spark, sf_dir), v, queries_of(v), K_NN, workers=8))
 
 
 @query("ck_ann_filtered", sq.with_(sq.VECTORS.replace("FROM embeddings", "FROM embeddings WHERE label < 5 OR vec_id % 100 = 0"), *ck_parts()[1:-3], "pf AS (SELECT pq.* FROM pq JOIN embeddings b ON b.vec_id = pq.vec_id AND b.label < 5)",
     sq.radii_by_budget(P.beta, K_NN).replace("FROM pq", "FROM pf"), sq.stopped(P.L, K_NN, P.c, P.eps, P.beta, 1).replace("FROM pq", "FROM pf").replace("pq.", "pf."), sq.best(K_NN)) + RANKS)
 def ck_ann_filtered(spark, sf_dir):
     v = points(spark, sf_dir)
-    return rounded(ann.ck_ann(v, queries_of(v), K_NN, P, where=F.col("label") < 5).result)
+    return rounded(ann.ck_ann_index(whole_index(spark, sf_dir), v, queries_of(v), K_NN, where=F.col("label") < 5))
 
 
 @query("ck_ann_tuned")
