@@ -121,3 +121,27 @@ def test_search_beyond_the_points(spark):
     assert ann.ck_ann(v, q, 50, ForestParams(K=2, L=2)).result.count() == 4
     assert exact_knn(v, q, 50).count() == 4
     assert exact_knn(v.where("false"), q, 5).count() == 0
+
+
+def test_box_gap_by_points(spark):
+    from pyspark.sql import functions as F
+
+    from vecforest.functions import exprs
+
+    df = spark.createDataFrame([([0.0, 0.0], [1.0, 1.0], [4.0, 5.0], [6.0, 7.0]), ([0.0, 0.0], [3.0, 3.0], [1.0, 2.0], [2.0, 9.0])], "a array<double>, b array<double>, c array<double>, d array<double>")
+    got = [r[0] for r in df.select(exprs.box_gap(F.col("a"), F.col("b"), F.col("c"), F.col("d"), 2)).collect()]
+    assert got == [5.0, 0.0]
+
+
+def test_workloads_run(spark, sf):
+    from vecforest import workloads
+    from vecforest.operators import views
+
+    v = views.emb64(spark, sf)
+    rows = workloads.w12_w13_curves(v, 5, (0.05, 0.2))
+    recall = {(r[1], r[2]): r[4] for r in rows if r[3] == "recall"}
+    assert all(recall[m, "beta=0.05"] <= recall[m, "beta=0.2"] for m in ("forest", "forest_index"))
+    assert {r[2] for r in rows if r[0] == "W4"} == {"step=range", "step=select", "step=rerank"}
+    scales = {(r[2], r[3]): r[4] for r in workloads.w9b_scales(spark, sf, (1, 4))}
+    assert 3.5 < scales["copies=4", "memory_bytes"] / scales["copies=1", "memory_bytes"] < 4.5
+    assert scales["copies=4", "file_bytes"] > 2 * scales["copies=1", "file_bytes"]  # files have a fixed share besides

@@ -42,6 +42,31 @@ def encode(projected: DataFrame, edges: Edges, kernel: str = "arrow") -> DataFra
     return projected.withColumn("code", F.array(*out))
 
 
+def encode_by_scopes(projected: DataFrame, edges: Edges, K: int, L: int, workers: int, n: int | None = None) -> DataFrame:
+    """(vec_id, code): as encode(), by workers that hold a range of dimensions of all spaces each, as work_scopes() deals them.
+
+    Coordinates move to the worker of their dimension and back, so encode(),
+    which leaves rows where they are, is the form for large tables; this one
+    suits few rows with many dimensions.
+    """
+    spark = projected.sparkSession
+    scopes = F.broadcast(work_scopes(spark, K, projected.count() if n is None else n, workers).select("wid", "first_dim", "end_dim"))
+    inner = [np.array(e[1:-1]) for e in edges]
+
+    def symbols(g: pd.Series, x: pd.Series) -> pd.Series:
+        at, v, out = g.to_numpy(), x.to_numpy(), np.zeros(len(g), dtype=np.int32)
+        for column in np.unique(at):
+            mine = at == column
+            out[mine] = np.searchsorted(inner[column], v[mine], side="right")
+        return pd.Series(out)
+
+    long = projected.select("vec_id", F.posexplode("proj").alias("g", "x"))
+    dim = F.col("g") % K
+    dealt = long.join(scopes, (dim >= F.col("first_dim")) & (dim < F.col("end_dim"))).repartitionById(workers, F.col("wid").cast("int"))
+    coded = dealt.withColumn("s", F.pandas_udf(symbols, "int")("g", "x"))
+    return coded.groupBy("vec_id").agg(F.array_sort(F.collect_list(F.struct("g", "s"))).alias("at")).select("vec_id", F.col("at.s").alias("code"))
+
+
 def packed(code: str = "code"):
     """A code of symbols below 256 as binary, one byte each."""
     return F.unhex(F.array_join(F.transform(code, lambda s: F.lpad(F.hex(s.cast("long")), 2, "0")), ""))

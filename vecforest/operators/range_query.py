@@ -55,8 +55,8 @@ class ForestIndex:
         return cls(ForestParams(**model["params"]), model["d"], np.array(model["matrix"]), model["edges"], spark.read.parquet(f"{path}/nodes"), spark.read.parquet(f"{path}/points"))
 
 
-def build_index(points: DataFrame, params: ForestParams, strategy: str = "hybrid", method: str = "histogram_rounds", encoder: str = "dynamic", keep: tuple[str, ...] = ()) -> ForestIndex:
-    """Projects, cuts, encodes and builds; raw vectors are read in narrow stages only, codes alone are shuffled."""
+def build_index(points: DataFrame, params: ForestParams, strategy: str = "hybrid", method: str = "histogram_rounds", encoder: str = "dynamic", keep: tuple[str, ...] = (), rule: str = "even") -> ForestIndex:
+    """Projects, cuts, encodes and builds by a split rule (even, cycle, first); raw vectors are read in narrow stages only, codes and projected coordinates are shuffled."""
     d = dimension(points)
     matrix = projection_matrix(d, params.K, params.L, params.seed)
     projected = staged(project(points.select("vec_id", "embedding", *keep), matrix).drop("embedding"), "projected")
@@ -67,7 +67,7 @@ def build_index(points: DataFrame, params: ForestParams, strategy: str = "hybrid
         inner = static_breakpoints(params.regions)
         edges = [[min(e[0], inner[0]), *inner, max(e[-1], inner[-1])] for e in edges]
     spaced = with_root_key(by_space(encode(projected, edges), params.K, params.L, keep=keep), params.K, params.bits)
-    nodes, placed = build_forest(spaced, params.K, params.max_size, strategy, params.bits)
+    nodes, placed = build_forest(spaced, params.K, params.max_size, strategy, params.bits, rule)
     nodes = staged(with_cells(nodes, edges, params.K, params.bits), "cells")
     return ForestIndex(params, d, matrix, edges, nodes, staged(placed.select("space", "leaf_id", "vec_id", "code", "proj", *keep), "leaves"))
 

@@ -16,12 +16,12 @@ from ..functions import exprs
 from ..functions.params import ForestParams, beta_table, chi2_upper
 from ..operators import ann, engine, metrics, views
 from ..operators.breakpoints import breakpoints, sampled, static_breakpoints
-from ..operators.encode import by_space, edges_of, encode, region_balance, with_root_key, work_scopes
+from ..operators.encode import by_space, edges_of, encode, encode_by_scopes, region_balance, with_root_key, work_scopes
 from ..operators.exact import check_c_k_ann, check_rc_ann, collected, exact_knn
 from ..operators.projection import bucket_hash, chi2_check, collision_curve, long_form, project, projection_matrix
 from ..operators.range_query import build_index, frontier, range_query, range_ring, range_trace
 from ..operators.views import queries_of
-from ..plans.staging import removed
+from ..plans.staging import removed, staged
 from . import sqlparts as sq
 
 D, K_NN = 64, 10
@@ -761,10 +761,79 @@ def range_leaf_filter(spark, sf_dir):
 
 @query("wl_static_recall")
 def wl_static_recall(spark, sf_dir):
-    """Static against dynamic cut points in the same trees, on skewed order lines."""
+    """Static against dynamic cut points on skewed order lines: trees, and recall and ratio of the tuned query over them."""
     v = views.line_num(spark, sf_dir)
-    rows = []
+    rest, asked = views.held_out(v, 20)
+    v, q = staged(rest.select("vec_id", "embedding"), "points"), collected(asked)
+    truth, rows = exact_knn(v, q, K_NN), []
     for encoder in ("dynamic", "static"):
-        r = build_index(v, SMALL.with_(max_size=256), encoder=encoder, method="approx_percentile").stats().agg(F.sum("leaves").alias("leaves"), F.max("largest").alias("largest"), F.sum("saturated").alias("saturated")).first()
-        rows.append((encoder, r["leaves"], r["largest"], r["saturated"]))
-    return spark.createDataFrame(rows, "encoder string, leaves long, largest long, saturated long")
+        index = build_index(v, SMALL.with_(max_size=256), encoder=encoder, method="approx_percentile")
+        r = index.stats().agg(F.sum("leaves").alias("leaves"), F.max("largest").alias("largest"), F.sum("saturated").alias("saturated")).first()
+        got = staged(ann.ck_ann_tuned(index, v, q, K_NN), "result")
+        recall = metrics.recall(got, truth, K_NN).agg(F.avg("recall")).first()[0]
+        ratio = metrics.overall_ratio(got, truth).agg(F.avg("ratio")).first()[0]
+        rows.append((encoder, r["leaves"], r["largest"], r["saturated"], float(recall), float(ratio)))
+    return spark.createDataFrame(rows, "encoder string, leaves long, largest long, saturated long, recall double, ratio double")
+
+
+@query("encode_by_scopes", sq.with_(*base(), sq.edges(256), sq.symbols(256)) + CODES)
+def encode_by_scopes_(spark, sf_dir):
+    """Encoding by ranges of dimensions, three workers."""
+    pr = project(points(spark, sf_dir), matrix(P.K, P.L))
+    return encode_by_scopes(pr, edges_of(breakpoints(pr, P.K, P.L), P.K, P.L), P.K, P.L, 3)
+
+
+@query("wl_split_rules")
+def wl_split_rules(spark, sf_dir):
+    """Trees by split rule."""
+    v, out = points(spark, sf_dir).select("vec_id", "embedding"), None
+    for rule in ("even", "cycle", "first"):
+        rows = build_index(v, SMALL.with_(sample=1.0), rule=rule).stats().withColumn("rule", F.lit(rule))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+@query("breakpoints_engine")
+def breakpoints_engine(spark, sf_dir):
+    """Greatest rank error of the inner edges by the engine's own quantiles, as a share of the rows."""
+    pr = staged(project(points(spark, sf_dir), matrix(4, 4)).select("vec_id", "proj"), "projected")
+    n, rows = pr.count(), []
+    exact = edges_of(breakpoints(pr, 4, 4, 16), 4, 4)
+    values = np.sort(np.array([r["proj"] for r in pr.collect()]), axis=0) if n <= 10_000 else None
+    for method in ("percentile", "approx_percentile", "kll"):
+        got = edges_of(breakpoints(pr, 4, 4, 16, method), 4, 4)
+        for g, (a, b) in enumerate(zip(exact, got, strict=True)):
+            gap = max(abs(x - y) for x, y in zip(a, b, strict=True))
+            ranked = -1.0 if values is None else float(max(abs(np.searchsorted(values[:, g], x) - np.searchsorted(values[:, g], y)) for x, y in zip(a, b, strict=True))) / n
+            rows.append((method, g // 4 + 1, g % 4 + 1, float(gap), ranked))
+    return spark.createDataFrame(rows, "method string, space int, dim int, edge_gap double, rank_error double")
+
+
+@query("whole_index")
+def whole_index_(spark, sf_dir):
+    """Builds and saves the forest that the searches read."""
+    return whole_index(spark, sf_dir).stats()
+
+
+@query("wl_protocol")
+def wl_protocol(spark, sf_dir):
+    """Recall and ratio for k = 50 and 100 held-out queries."""
+    from ..workloads import w15_k
+
+    return metrics.tidy(spark, w15_k(points(spark, sf_dir), (50,), 100))
+
+
+@query("wl_memory_scales")
+def wl_memory_scales(spark, sf_dir):
+    """Bytes of a saved index's files and of a query's memory over copies of one set: in proportion, but for what small files hold besides."""
+    from ..workloads import w9b_scales
+
+    return metrics.tidy(spark, w9b_scales(spark, sf_dir))
+
+
+@query("wl_rival_builds")
+def wl_rival_builds(spark, sf_dir):
+    """Methods whose index build is timed, without the seconds."""
+    from ..workloads import w11_builds
+
+    return metrics.tidy(spark, w11_builds(points(spark, sf_dir), K_NN)).select("workload", "method", "params", "measure")

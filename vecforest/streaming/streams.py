@@ -135,3 +135,21 @@ def drift(encoded: DataFrame, K: int, regions: int = 256) -> DataFrame:
     long = encoded.select("space", F.posexplode("code").alias("dim", "s")).groupBy("space", "dim", "s").agg(F.count(F.lit(1)).alias("n"))
     col = long.groupBy("space", "dim").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("sq"))
     return col.groupBy("space").agg((F.avg(F.col("sq") * regions / F.col("n") - F.col("n")) / (regions - 1)).alias("drift"))
+
+
+def late_counted(events: DataFrame, path: str, checkpoint: str, late_seconds: int = 3600) -> StreamingQuery:
+    """Counts by batch, as rows (batch, n, late, newest) under path: late rows are older than the newest row of the batches before by more than late_seconds.
+
+    That is what a watermark of the same delay drops from windows. A batch that
+    is run again replaces its row.
+    """
+
+    def put(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        known = [r[0] for r in spark.read.parquet(path).where(F.col("batch") < number).agg(F.max("newest")).collect()] if number else [None]
+        limit = F.lit(known[0]) - F.expr(f"INTERVAL {late_seconds} SECONDS") if known[0] is not None else None
+        late = F.count_if(F.col("ts") < limit) if limit is not None else F.lit(0)
+        row = batch.agg(F.count(F.lit(1)).alias("n"), late.cast("long").alias("late"), F.greatest(F.max("ts"), F.lit(known[0]).cast("timestamp")).alias("newest"))
+        row.coalesce(1).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return events.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()

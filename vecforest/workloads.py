@@ -8,7 +8,9 @@ slots.
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -24,7 +26,7 @@ from .operators.exact import Queries, collected, exact_knn
 from .operators.projection import dimension, project, projection_matrix
 from .operators.range_query import build_index, range_query
 from .operators.tree import build_forest
-from .plans.staging import staged
+from .plans.staging import removed, shared_dir, staged
 
 Rows = list[tuple[str, str, str, str, float]]
 
@@ -143,6 +145,49 @@ def w9_memory(spark: SparkSession, sf_dir: str) -> Rows:
     return out
 
 
+def _bytes_under(spark: SparkSession, path: str) -> int:
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(p).getLength()
+
+
+def w9b_scales(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] = (1, 4), params: ForestParams = ForestParams(K=4)) -> Rows:
+    """Bytes of the files of a saved index over copies of one set, and the bytes of a query's memory by their numbers."""
+    out: Rows = []
+    for m in copies:
+        v = staged(views.emb64_scaled(spark, sf_dir, m).select("vec_id", "embedding"), "points")
+        index, path = build_index(v, params), f"{shared_dir(spark)}/index-{uuid.uuid4().hex}"
+        index.save(path)
+        n, nodes = v.count(), index.nodes.count()
+        out += [("W9b", "forest", f"copies={m}", x, float(y)) for x, y in (("n", n), ("file_bytes", _bytes_under(spark, path)), ("memory_bytes", sum(metrics.memory(n, dimension(v), params, nodes, params.need(n, 50)).values())))]
+        removed(spark, path)
+    return out
+
+
+def w11_builds(points: DataFrame, k: int = 10) -> Rows:
+    """Seconds to build each index: our trees, box tiles, graph and codebooks (the last two with one query, as they build when asked)."""
+    v, q = _setup(points, 1)
+    pr = staged(project(v, projection_matrix(dimension(v), 4, 4)), "projected")
+    builds = {"forest": lambda: build_index(v, ForestParams(K=4)), "box_tiles": lambda: metrics.timed(rivals.box_tiles(pr)), "layered_graph": lambda: layered_graph_ann(v, q, k).collect(), "multi_codebook": lambda: multi_codebook_ann(v, q, k, exact=4 * k).collect()}
+    return [("W11", name, "", "index_seconds", _time(run)) for name, run in builds.items()]
+
+
+def w12_w13_curves(points: DataFrame, k: int = 10, betas: tuple[float, ...] = (0.01, 0.05, 0.2)) -> Rows:
+    """Recall and ratio against seconds, over the budget of the forest and of the rivals that pool by budget; seconds by step for the forest over its index."""
+    v, q = _setup(points)
+    truth, out = staged(exact_knn(v, q, k), "truth"), []
+    index = build_index(v, ForestParams(K=4))
+    for beta in betas:
+        for name, run in (("forest", lambda b=beta: ann.ck_ann(v, q, k, ForestParams(beta=b)).result), ("forest_index", lambda b=beta: ann.ck_ann_index(replace(index, params=index.params.with_(beta=b)), v, q, k)), ("query_box", lambda b=beta: rivals.query_box_ann(v, q, k, beta=b).result)):
+            res: list[DataFrame] = []
+            seconds = _time(lambda run=run, res=res: res.append(staged(run(), "result")))
+            recall, ratio = _accuracy(res[0], truth, k)
+            out += [("W12", name, f"beta={beta}", "seconds", seconds), ("W12", name, f"beta={beta}", "recall", recall), ("W13", name, f"beta={beta}", "ratio", ratio)]
+    reach = index.params.eps * 1.1
+    pool = range_query(index, q, reach).select("query_id", "vec_id").distinct()
+    steps = metrics.stage_times({"range": lambda: range_query(index, q, reach), "select": lambda: pool, "rerank": lambda: ann.rerank(pool, v, q, k)})
+    return out + [("W4", "forest_index", f"step={x}", "seconds", s / len(q)) for x, s in steps.items()]
+
+
 def w10_to_w13_rivals(points: DataFrame, k: int = 10, names: tuple[str, ...] | None = None) -> Rows:
     """Time, recall and ratio of each method; the recall-time and ratio-time points at its default settings."""
     v, q = _setup(points)
@@ -172,8 +217,8 @@ def w14_size(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] = (1, 4),
     return out
 
 
-def w15_k(points: DataFrame, ks: tuple[int, ...] = (1, 10, 20, 50)) -> Rows:
-    v, q = _setup(points)
+def w15_k(points: DataFrame, ks: tuple[int, ...] = (1, 10, 20, 50), n_q: int = 20) -> Rows:
+    v, q = _setup(points, n_q)
     out: Rows = []
     for k in ks:
         recall, ratio = _accuracy(ann.ck_ann(v, q, k).result, exact_knn(v, q, k), k)
