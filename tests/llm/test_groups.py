@@ -325,3 +325,30 @@ def test_pipeline_of_odd_rows(spark, sf):
     for name, f in corpus_pipeline.STAGES:
         docs = staged(f(spark, docs, sf), name)
     assert docs.count() > 0
+
+
+def test_pipeline_keeps_each_clean_row(spark, tmp_path):
+    """By stage the exact rows that stay: null and repeated ids, other scripts, copies, benchmark text, secrets."""
+    item = sentence(870, 40)
+    spark.createDataFrame([(1, item)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    russian, chinese = "река текла под старым каменным мостом " * 6, "河水在古老的石桥下流过人们看着船只 " * 6
+    texts = {"a": sentence(871, 80), "b": sentence(872, 80), "c": sentence(873, 80), "d": sentence(874, 80), "e": sentence(875, 80), "item": item, "secret": f"{sentence(876, 80)} password=hunter2hunter2", "ru": russian, "zh": chinese}
+    rows = [(None, "a"), (None, "b"), (4, "c"), (4, "d"), (5, "e"), (6, "e"), (None, "item"), (4, "item"), (7, "secret"), (8, "ru"), (9, "zh")]
+    langs = {"ru": "ru", "zh": "zh"}
+    docs = spark.createDataFrame([(i, texts[t], langs.get(t, "en"), "s", len(texts[t])) for i, t in rows] + [(10, None, "en", "s", 0), (11, "", "en", "s", 0), (12, "123 --- 456", "en", "s", 11)], "doc_id long, text string, lang string, source string, n_chars long")
+    names = {t: n for n, t in texts.items()}
+
+    def kept(df):
+        return sorted((str(r["doc_id"]), names.get(r["text"], r["text"])) for r in df.collect())
+
+    every = sorted((str(i), t) for i, t in rows)
+    steps = {
+        "language": every,
+        "near_copies": [x for x in every if x != ("6", "e") and x != ("None", "item")],
+        "decontamination": [x for x in every if x != ("6", "e") and x[1] != "item"],
+        "secrets": sorted((x[0], texts["secret"].replace("password=hunter2hunter2", "[SECRET]")) if x[1] == "secret" else x for x in every if x != ("6", "e") and x[1] != "item"),
+    }
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        docs = staged(stage(spark, docs, str(tmp_path)), name)
+        assert kept(docs) == steps[name], name
+    assert corpus_pipeline.STAGES[-1][1](spark, docs, str(tmp_path)).count() == len(steps["secrets"])
