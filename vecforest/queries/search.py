@@ -21,7 +21,7 @@ from ..operators.exact import check_c_k_ann, check_rc_ann, collected, exact_knn
 from ..operators.projection import bucket_hash, chi2_check, collision_curve, long_form, project, projection_matrix
 from ..operators.range_query import build_index, frontier, range_query, range_ring, range_trace
 from ..operators.views import queries_of
-from ..plans.staging import removed, staged
+from ..plans.staging import exists, removed, staged
 from . import sqlparts as sq
 
 D, K_NN = 64, 10
@@ -263,7 +263,7 @@ def saved_index(spark, sf_dir, params, strategy="hybrid", keep=()):
     from ..plans.staging import shared_dir
 
     key = (spark.sparkContext.applicationId, sf_dir, params, strategy, keep)
-    if key not in _SAVED:
+    if key not in _SAVED or not exists(spark, _SAVED[key]):
         path = f"{shared_dir(spark)}/index-{uuid.uuid4().hex}"
         build_index(points(spark, sf_dir).select("vec_id", "embedding", *keep), params, strategy, keep=keep).save(path)
         _SAVED[key] = path
