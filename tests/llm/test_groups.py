@@ -352,3 +352,42 @@ def test_pipeline_keeps_each_clean_row(spark, tmp_path):
         docs = staged(stage(spark, docs, str(tmp_path)), name)
         assert kept(docs) == steps[name], name
     assert corpus_pipeline.STAGES[-1][1](spark, docs, str(tmp_path)).count() == len(steps["secrets"])
+
+
+@pytest.mark.parametrize("least", [0, 50])
+def test_seeds_of_many_texts(least):
+    """Words, runs that are the least of a window, and none over the end of a text, against the definition."""
+    rng = np.random.default_rng(3)
+    texts = ["", " \t", "One  two\x1cTHREE fouré", "a " * 70, *(" ".join(rng.choice(list("abcdefg"), n)) for n in (7, 8, 14, 39, 50, 51, 52, 130)), "ßİ " * 60]
+    powers = passages.Powers()
+    hashes, sizes = passages.hashed_words(texts, powers)
+    assert sizes.tolist() == [len(t.lower().split()) for t in texts]
+    by_word = {}
+    assert all(by_word.setdefault(w, h) == h for w, h in zip([w for t in texts for w in t.lower().split()], hashes.tolist(), strict=True))
+    assert len(set(by_word.values())) == len(by_word)
+    keys, places, whose = passages.seeds(texts, powers, least)
+    up, _ = powers.upto(passages.ANCHOR)
+    for i, text in enumerate(texts):
+        h = hashes[sizes[:i].sum() : sizes[: i + 1].sum()]
+        wanted = set()
+        for odd, (size, window) in enumerate(((passages.K, passages.WINDOW), (passages.ANCHOR, passages.STRIDE))):
+            g = [int(passages.mixed((h[j : j + size] * up[:size]).sum(keepdims=True))[0]) for j in range(len(h) - size + 1)] if len(h) > least else []
+            for s in range(max(1, len(g) - window + 1)):
+                part = g[s : s + window]
+                wanted |= {(np.uint64(part[j] & ~1 | odd).astype(np.int64), s + j) for j in range(len(part)) if part[j] == min(part)}
+        mine = whose == i
+        assert sorted(wanted) == sorted(zip(keys[mine], places[mine], strict=True))
+
+
+def test_chains_near_a_diagonal(monkeypatch):
+    """The short way of matches near one diagonal gives what the tree gives."""
+    rng = np.random.default_rng(5)
+    for _ in range(200):
+        n = int(rng.integers(1, 40))
+        a = np.cumsum(rng.integers(1, 60, n))
+        b = a + 9 + np.cumsum(rng.integers(-1, 2, n)) * int(rng.integers(0, 2))
+        short = passages.chains(a, b)
+        with monkeypatch.context() as m:
+            m.setattr(passages.np, "diff", lambda x: -np.ones(max(len(x) - 1, 0)) if len(x) > 1 else np.array([-1.0]))
+            slow = passages.chains(a, b)
+        assert sorted(short) == sorted(slow)
