@@ -132,14 +132,16 @@ def joined_by_salt(rows: DataFrame, one_each: DataFrame, key: str, spread_by: st
     return rows.select("*", salt).join(every, [key, "__salt"]).drop("__salt")
 
 
-def joined_with_hot(rows: DataFrame, one_each: DataFrame, key: str, *spread_by: str, share: int = 1000, salted: bool = False) -> DataFrame:
+def joined_with_hot(rows: DataFrame, one_each: DataFrame, key: str, *spread_by: str, share: int = 1000, salted: bool = False, counted: DataFrame | None = None) -> DataFrame:
     """rows joined with a table of one row a key; a key that holds more than one row in `share` goes to a task for each such part of it.
 
-    There are `share` such keys at most, so they go to all workers. rows should be a staged table, as it is read for them too.
+    There are `share` such keys at most, so they go to all workers. rows should be a staged table, as it is read for them too;
+    else counted is one that holds each key as often.
     salted keeps column __salt, the number of the task of such a key.
     """
-    most = max(1000, rows.count() // share)
-    hot = rows.groupBy(key).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > most)
+    counted = rows if counted is None else counted
+    most = max(1000, counted.count() // share)
+    hot = counted.groupBy(key).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > most)
     hot = F.broadcast(staged(hot.select(key, F.ceil(F.col("n") / most).cast("int").alias("__many")), "hot"))
     salt = F.coalesce(F.pmod(F.xxhash64(*spread_by, F.lit(3)), F.col("__many")), F.lit(0)).cast("int")
     every = F.explode(F.sequence(F.lit(0), F.coalesce("__many", F.lit(1)) - 1))
