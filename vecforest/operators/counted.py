@@ -298,12 +298,15 @@ def ck_ann_counted(index: CountedIndex, points: DataFrame, queries: DataFrame |
                 part = (at.astype(np.int64) - first) // each
                 ok = (at != none) & (part >= 0) & (part < many)
                 sums += np.bincount((part + many * np.arange(Q))[ok], minlength=Q * many)
-            yield pa.RecordBatch.from_arrays([pa.array([sums.tobytes()], pa.binary())], ["sums"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(Q, dtype=np.int32)), pa.array([x.tobytes() for x in sums.reshape(Q, many)], pa.binary())], ["a", "sums"])
 
-        total = np.zeros(Q * many, dtype=np.int64)
-        for r in rows.mapInArrow(count, "sums binary").toLocalIterator():
-            total += np.frombuffer(bytes(r["sums"]), dtype=np.int64)
-        return total.reshape(Q, many)
+        def added(pdf: pd.DataFrame) -> pd.DataFrame:
+            return pd.DataFrame({"a": pdf["a"].iloc[:1], "sums": [np.sum([np.frombuffer(x, dtype=np.int64) for x in pdf["sums"]], axis=0).tobytes()]})
+
+        total = np.zeros((Q, many), dtype=np.int64)
+        for r in rows.mapInArrow(count, "a int, sums binary").groupBy("a").applyInPandas(added, "a int, sums binary").collect():
+            total[r["a"]] = np.frombuffer(bytes(r["sums"]), dtype=np.int64)
+        return total
 
     upto = np.cumsum(counted(np.zeros(Q, dtype=np.int64), width, BINS), 1)
     part = (upto < need[:, None]).sum(1).clip(max=BINS - 1)
